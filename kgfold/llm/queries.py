@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from kgfold.llm.common import table
+from kgfold.llm.common import shared_dir, table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -17,6 +18,24 @@ def op1_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract(table(spark, sf_dir, "pages", "page_id", "url", "html"))
 
 
+def op6_id_store(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from kgfold.llm.id_store import read_checks, write_store
+
+    folder = f"{shared_dir(spark)}/id-store-{uuid.uuid4().hex}"
+    write_store(table(spark, sf_dir, "documents", "doc_id", "text"), folder, public_tokenizers.path("word_bpe_49k.json"))
+    return read_checks(spark, folder)
+
+
+def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from kgfold.llm.packing import pack
+
+    return pack(table(spark, sf_dir, "documents", "doc_id", "text"), public_tokenizers.path("byte_bpe_50k.json"))
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     import corpus_pipeline
 
@@ -24,7 +43,7 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {"op1_html_extraction": op1_html_extraction}
+    return {"op1_html_extraction": op1_html_extraction, "op6_id_store": op6_id_store, "op7_packing": op7_packing}
 
 
 def oracle_sql() -> dict[str, str]:
