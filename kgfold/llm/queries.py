@@ -18,6 +18,12 @@ def op1_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract(table(spark, sf_dir, "pages", "page_id", "url", "html"))
 
 
+def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from kgfold.llm.secret_scan import digest, scan
+
+    return digest(scan(table(spark, sf_dir, "documents", "doc_id", "text")))
+
+
 def op6_id_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -36,6 +42,12 @@ def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(table(spark, sf_dir, "documents", "doc_id", "text"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op9_disclosure(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from kgfold.llm.disclosure import digest, sanitise
+
+    return digest(sanitise(table(spark, sf_dir, "documents", "doc_id", "text")))
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     import corpus_pipeline
 
@@ -43,7 +55,13 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {"op1_html_extraction": op1_html_extraction, "op6_id_store": op6_id_store, "op7_packing": op7_packing}
+    return {
+        "op1_html_extraction": op1_html_extraction,
+        "op3_secret_scan": op3_secret_scan,
+        "op6_id_store": op6_id_store,
+        "op7_packing": op7_packing,
+        "op9_disclosure": op9_disclosure,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
