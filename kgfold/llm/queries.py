@@ -18,6 +18,13 @@ def op1_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract(table(spark, sf_dir, "pages", "page_id", "url", "html"))
 
 
+def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from kgfold.llm.toxicity import score, train
+
+    docs = table(spark, sf_dir, "documents", "doc_id", "text")
+    return score(docs, train(docs, table(spark, sf_dir, "labels", "doc_id", "toxic")))
+
+
 def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     from kgfold.llm.secret_scan import digest, scan
 
@@ -57,6 +64,7 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Query]:
     return {
         "op1_html_extraction": op1_html_extraction,
+        "op2_toxicity": op2_toxicity,
         "op3_secret_scan": op3_secret_scan,
         "op6_id_store": op6_id_store,
         "op7_packing": op7_packing,
