@@ -31,6 +31,12 @@ def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return digest(scan(table(spark, sf_dir, "documents", "doc_id", "text")))
 
 
+def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from kgfold.llm.decontaminate import find_leaks
+
+    return find_leaks(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "benchmark", "item_id", "text"))
+
+
 def op6_id_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -66,6 +72,7 @@ def queries() -> dict[str, Query]:
         "op1_html_extraction": op1_html_extraction,
         "op2_toxicity": op2_toxicity,
         "op3_secret_scan": op3_secret_scan,
+        "op4_decontamination": op4_decontamination,
         "op6_id_store": op6_id_store,
         "op7_packing": op7_packing,
         "op9_disclosure": op9_disclosure,
