@@ -61,6 +61,12 @@ def op9_disclosure(spark: SparkSession, sf_dir: str) -> DataFrame:
     return digest(sanitise(table(spark, sf_dir, "documents", "doc_id", "text")))
 
 
+def op10_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from kgfold.llm.weighted_sampling import fingerprints
+
+    return fingerprints(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     import corpus_pipeline
 
@@ -76,6 +82,7 @@ def queries() -> dict[str, Query]:
         "op6_id_store": op6_id_store,
         "op7_packing": op7_packing,
         "op9_disclosure": op9_disclosure,
+        "op10_fingerprints": op10_fingerprints,
     }
 
 
