@@ -37,6 +37,12 @@ def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return find_leaks(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "benchmark", "item_id", "text"))
 
 
+def op5_count_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from kgfold.llm.count_join import linked
+
+    return linked(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op6_id_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -79,6 +85,7 @@ def queries() -> dict[str, Query]:
         "op2_toxicity": op2_toxicity,
         "op3_secret_scan": op3_secret_scan,
         "op4_decontamination": op4_decontamination,
+        "op5_count_join": op5_count_join,
         "op6_id_store": op6_id_store,
         "op7_packing": op7_packing,
         "op9_disclosure": op9_disclosure,
