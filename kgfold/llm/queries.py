@@ -61,6 +61,12 @@ def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(table(spark, sf_dir, "documents", "doc_id", "text"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op8_repeat_removal(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from kgfold.llm.repeat_cover import digest, remove_repeats
+
+    return digest(remove_repeats(table(spark, sf_dir, "documents", "doc_id", "text")))
+
+
 def op9_disclosure(spark: SparkSession, sf_dir: str) -> DataFrame:
     from kgfold.llm.disclosure import digest, sanitise
 
@@ -88,8 +94,10 @@ def queries() -> dict[str, Query]:
         "op5_count_join": op5_count_join,
         "op6_id_store": op6_id_store,
         "op7_packing": op7_packing,
+        "op8_repeat_removal": op8_repeat_removal,
         "op9_disclosure": op9_disclosure,
         "op10_fingerprints": op10_fingerprints,
+        "pipeline": pipeline,
     }
 
 
