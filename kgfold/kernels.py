@@ -41,3 +41,84 @@ def components(edges: DataFrame, src: str = "src", dst: str = "dst", max_rounds:
     roots = linked.select(F.col("label").alias("node"), "label").distinct()
     loops = pairs.filter("u = v").select(F.col("u").alias("node"), F.col("v").alias("label")).join(linked.select("node").union(roots.select("node")), "node", "left_anti")
     return linked.union(roots).union(loops)
+
+
+def follow_to_sink(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
+    """src, dst of a functional graph with every chain followed to its end (pointer doubling); cycles end at their least node."""
+    hop = written(edges.groupBy("src").agg(F.min("dst").alias("dst")), "sink")
+    label = components(hop).withColumnRenamed("node", "src")
+    ends = hop.select(F.col("dst").alias("src")).join(hop.select("src"), "src", "left_anti").distinct()
+    for _ in range(max_rounds):
+        nxt = hop.select(F.col("src").alias("dst"), F.col("dst").alias("further"))
+        new = written(hop.join(nxt, "dst", "left").select("src", F.coalesce("further", "dst").alias("dst")), "sink")
+        if not new.join(ends.withColumnRenamed("src", "dst"), "dst", "left_anti").join(hop, ["src", "dst"], "left_anti").limit(1).count():
+            hop = new
+            break
+        hop = new
+    settled = hop.join(ends.withColumnRenamed("src", "dst"), "dst", "left_semi").select("src", "dst")
+    cyclic = hop.join(settled.select("src"), "src", "left_anti").join(label, "src").select("src", F.col("label").alias("dst"))
+    return settled.union(cyclic).filter("src <> dst")
+
+
+def bfs_down(edges: DataFrame, starts: DataFrame, marks: DataFrame, max_rounds: int = 10_000) -> DataFrame:
+    """Level-synchronous search from ``starts`` (sid, node) down ``edges`` (sid, child, parent).
+
+    Returns sid, node, dist, next_hop (least parent one step nearer), kept (nearest ancestor that ``marks`` names as
+    anchor or unmerged) and anchored (an anchor lies above).  ``marks``: sid, node, is_anchor, is_open.  Every edge is
+    relaxed once, all fragments advance in the same rounds, and no path is ever stored.
+    """
+    frontier = written(
+        starts.select("sid", "node", F.lit(0).alias("dist"), F.lit(None).cast("string").alias("next_hop"), F.lit(None).cast("string").alias("kept"), F.lit(False).alias("anchored"))
+        .join(marks, ["sid", "node"], "left")
+        .select("sid", "node", "dist", "next_hop", "kept", "anchored", F.coalesce("is_anchor", F.lit(False)).alias("is_anchor"), F.coalesce("is_open", F.lit(False)).alias("is_open")),
+        "bfs",
+    )
+    layers = [frontier]
+    seen = frontier.select("sid", "node")
+    for d in range(1, max_rounds + 1):
+        up = frontier.select("sid", F.col("node").alias("parent"), "kept", "anchored", "is_anchor", "is_open")
+        reached = edges.join(up, ["sid", "parent"]).join(seen.withColumnRenamed("node", "child"), ["sid", "child"], "left_anti")
+        carried = F.struct(F.when(F.col("is_anchor") | F.col("is_open"), F.col("parent")).otherwise(F.col("kept")).alias("kept"), (F.col("is_anchor") | F.col("anchored")).alias("anchored"))
+        best = reached.groupBy("sid", F.col("child").alias("node")).agg(F.min("parent").alias("next_hop"), F.min_by(carried, "parent").alias("c"))
+        frontier = best.join(marks, ["sid", "node"], "left").select(
+            "sid", "node", F.lit(d).alias("dist"), "next_hop", "c.kept", "c.anchored", F.coalesce("is_anchor", F.lit(False)).alias("is_anchor"), F.coalesce("is_open", F.lit(False)).alias("is_open")
+        )
+        frontier = written(frontier, "bfs")
+        if frontier.isEmpty():
+            break
+        layers.append(frontier)
+        seen = seen.union(frontier.select("sid", "node"))
+    out = layers[0]
+    for layer in layers[1:]:
+        out = out.unionByName(layer)
+    return out
+
+
+def peel(edges: DataFrame, max_rounds: int = 10_000) -> DataFrame:
+    """The edges (child, parent) left after roots are taken away again and again: empty if and only if there is no cycle."""
+    left = written(edges.select("child", "parent").distinct(), "peel")
+    n = left.count()
+    for _ in range(max_rounds):
+        if not n:
+            break
+        left = written(left.join(left.select(F.col("child").alias("parent")).distinct(), "parent", "left_semi").select("child", "parent"), "peel")
+        m = left.count()
+        if m == n:
+            break
+        n = m
+    return left
+
+
+def closure(edges: DataFrame, max_depth: int = 50, max_rows: int = 50_000_000) -> DataFrame:
+    """child, ancestor, dist: least distances of all ancestor pairs, semi-naive; refuses to grow over ``max_rows``."""
+    step = written(edges.select("child", F.col("parent").alias("ancestor")).distinct(), "closure")
+    known = new = written(step.withColumn("dist", F.lit(1)), "closure")
+    for d in range(2, max_depth + 1):
+        further = new.join(step.select(F.col("child").alias("ancestor"), F.col("ancestor").alias("_up")), "ancestor").select("child", F.col("_up").alias("ancestor")).distinct()
+        new = written(further.join(known, ["child", "ancestor"], "left_anti").withColumn("dist", F.lit(d)), "closure")
+        if new.isEmpty():
+            break
+        known = known.unionByName(new)
+        if known.count() > max_rows:
+            raise RuntimeError(f"the closure has over {max_rows} rows")
+    return known
