@@ -7,10 +7,12 @@ sides read the same rules.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import SparkSession
+from pyspark.sql import functions as F
 
 from kgfold.config import IntegrationConfig
 from kgfold.schema import KnowledgeGraph
+from kgfold.work import written
 
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 
@@ -147,6 +149,12 @@ def inlined(fixture: list[tuple[str, str]], last: str) -> str:
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> KnowledgeGraph:
-    with_views(spark, sf_dir)
-    get = lambda t: spark.sql(inlined(FIXTURES[name], f"SELECT * FROM {t}"))
-    return KnowledgeGraph(get("concept"), get("mapping"), get("hier"))
+    """The derived sets, written once: every later step scans narrow tables instead of deriving them again."""
+    with_views(spark, sf_dir, tuple(t for t in TABLES if any(t in q for _, q in FIXTURES[name])))
+    concept = written(spark.sql(inlined(FIXTURES[name][:-2], "SELECT * FROM concept")), "concept")
+    raw = [(n, q) for n, q in FIXTURES[name] if n not in ("raw_concept", "concept", "mapping", "hier")]
+    links = spark.sql(inlined(raw, "SELECT DISTINCT src, relation, dst FROM raw_mapping WHERE src <> dst"))
+    for end in ("src", "dst"):
+        links = links.join(concept.select(F.col("concept").alias(end)), end, "left_semi")
+    hier = spark.sql(inlined(raw, "SELECT DISTINCT child, parent FROM raw_hier WHERE child <> parent"))
+    return KnowledgeGraph(concept, written(links.select("src", "relation", "dst"), "mapping"), written(hier, "hier"))

@@ -23,7 +23,7 @@ def ctes(name: str, cfg: IntegrationConfig | None = None) -> list[tuple[str, str
     if cfg.hierarchies is not None:
         tree += " WHERE split_part(child, ':', 1) IN (" + ", ".join(f"'{h}'" for h in cfg.hierarchies) + ")"
     if cfg.same_source == "edge":
-        tree += " UNION SELECT a, b FROM best WHERE a <> b AND split_part(a, ':', 1) = split_part(b, ':', 1)"
+        tree += " UNION SELECT a, b FROM chosen WHERE a <> b AND split_part(a, ':', 1) = split_part(b, ':', 1)"
     start = "SELECT sid, node, 0 FROM marks WHERE node IN (SELECT concept FROM anchors)" if cfg.path == "any_anchor" else "SELECT sid, node, 0 FROM roots"
     return [
         *FIXTURES[name],
@@ -41,8 +41,8 @@ def ctes(name: str, cfg: IntegrationConfig | None = None) -> list[tuple[str, str
         ("merges", f"SELECT src, dst FROM fwd {aligned}"),
         ("und", "SELECT src AS a, dst AS b FROM merges UNION SELECT dst, src FROM merges"),
         ("clo(a, b)", "SELECT a, b FROM und UNION SELECT a, a FROM und UNION SELECT clo.a, und.b FROM clo JOIN und ON clo.b = und.a"),
-        ("best", "SELECT a, b FROM (SELECT a, b, row_number() OVER (PARTITION BY a ORDER BY coalesce(is_obsolete, false), coalesce(rnk, 999999), b) AS rn FROM clo LEFT JOIN concept ON concept = b LEFT JOIN ranks ON ranks.source = split_part(b, ':', 1)) WHERE rn = 1"),
-        ("can", f"SELECT a AS src, b AS dst FROM best WHERE a <> b{same}"),
+        ("chosen", "SELECT a, b FROM (SELECT a, b, row_number() OVER (PARTITION BY a ORDER BY coalesce(is_obsolete, false), coalesce(rnk, 999999), b) AS rn FROM clo LEFT JOIN concept ON concept = b LEFT JOIN ranks ON ranks.source = split_part(b, ':', 1)) WHERE rn = 1"),
+        ("can", f"SELECT a AS src, b AS dst FROM chosen WHERE a <> b{same}"),
         ("dconcept", "SELECT DISTINCT coalesce(dst, concept) AS concept, split_part(coalesce(dst, concept), ':', 1) AS source FROM concept LEFT JOIN can ON concept = src"),
         ("dmapping", "SELECT DISTINCT coalesce(a.dst, l.src) AS src, l.relation AS relation, coalesce(b.dst, l.dst) AS dst FROM links l LEFT JOIN can a ON l.src = a.src LEFT JOIN can b ON l.dst = b.src WHERE coalesce(a.dst, l.src) <> coalesce(b.dst, l.dst)"),
         ("unm", "SELECT concept, source FROM concept WHERE NOT is_obsolete AND concept NOT IN (SELECT src FROM can)"),
