@@ -63,6 +63,17 @@ def needed(a, b):
     return (4 * (a + b) + 8) // 9
 
 
+def point_of(s: np.ndarray) -> bytes:
+    """Counts by group, 16 bits each."""
+    return np.minimum(np.bincount((s >> np.uint64(20)).astype(np.int64) % GROUPS, minlength=GROUPS), 65535).astype("<u2").tobytes()
+
+
+def counts_of(points: list[bytes]) -> np.ndarray:
+    """Points as rows of counts; counts cut at 16 bits become unbounded."""
+    p = np.frombuffer(b"".join(points), "<u2").reshape(-1, GROUPS).astype(np.int64)
+    return np.where(p == 65535, 1 << 40, p)
+
+
 class CountTree:
     """R-tree over count vectors, bulk-loaded: points sorted by size, packed into leaves and nodes of FANOUT."""
 
@@ -112,7 +123,7 @@ class CountTree:
             yield int(self.order[a * FANOUT + x]), int(two.order[b * FANOUT + y])
 
 
-def _frequent(docs: DataFrame, least_local: int = 4, least: int = 32, most: int = 1_000_000) -> np.ndarray:
+def _frequent(docs: DataFrame, least_local: int = 3, least: int = 8, most: int = 1_000_000) -> np.ndarray:
     """Tokens that many documents share, for the order only: per window of documents those met ``least_local`` times or
     more, summed over the table; at most ``most`` (8 MB), the commonest."""
 
@@ -160,7 +171,7 @@ def _prefixes(docs: DataFrame, frequent: np.ndarray) -> DataFrame:
             points, firsts, sizes = [], [], []
             for text in b.column(1).to_pylist():
                 s = tokens(text)
-                points.append(np.minimum(np.bincount((s >> np.uint64(20)).astype(np.int64) % GROUPS, minlength=GROUPS), 65535).astype("<u2").tobytes())
+                points.append(point_of(s))
                 if len(common) and len(s):
                     at = np.minimum(np.searchsorted(common, s), len(common) - 1)
                     late = common[at] == s
@@ -180,11 +191,9 @@ def _bounded(pairs: DataFrame, points: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             if b.num_rows:
-                pa_, pb = (np.frombuffer(b"".join(b.column(k).to_pylist()), "<u2").reshape(-1, GROUPS) for k in ("pa", "pb"))
-                na, nb = b.column("na").to_numpy(), b.column("nb").to_numpy()
-                full = (pa_ == 65535).any(axis=1) | (pb == 65535).any(axis=1)  # counts cut at 16 bits bound nothing
-                ok = full | (9 * np.minimum(pa_, pb).sum(axis=1, dtype=np.int64) >= 4 * (na + nb))
-                yield pa.RecordBatch.from_arrays([b.column(k).filter(pa.array(ok)) for k in ("a", "b")], ["a", "b"])
+                overlap = np.minimum(*(counts_of(b.column(k).to_pylist()) for k in ("pa", "pb"))).sum(axis=1)
+                ok = pa.array(9 * overlap >= 4 * (b.column("na").to_numpy() + b.column("nb").to_numpy()))
+                yield pa.RecordBatch.from_arrays([b.column(k).filter(ok) for k in ("a", "b")], ["a", "b"])
 
     one = points.select(F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("point").alias("pa"))
     two = points.select(F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("point").alias("pb"))
@@ -213,32 +222,70 @@ def _verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:
     return rows.select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
 
 
+def _pairs_of(points: list[bytes], sizes: np.ndarray, labels: np.ndarray, left: np.ndarray, right: np.ndarray | None = None) -> list[tuple[int, int]]:
+    """Index pairs that the tree leaves, within ``left`` or between ``left`` and ``right``."""
+
+    def tree(rows: np.ndarray) -> CountTree:
+        return CountTree(counts_of([points[k] for k in rows]), sizes[rows], labels[rows])
+
+    if right is None:
+        return [(left[x], left[y]) for x, y in tree(left).pairs()] if len(left) > 1 else []
+    return [(left[x], right[y]) for x, y in tree(left).pairs(tree(right))] if len(left) and len(right) else []
+
+
+def _pair_table(ids: np.ndarray, found: list[tuple[int, int]]) -> list[pa.Array]:
+    a, b = (ids[np.array([f[k] for f in found], np.int64)] for k in (0, 1))
+    return [pa.array(np.minimum(a, b), pa.int64()), pa.array(np.maximum(a, b), pa.int64())]
+
+
+def _block_stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Tree search of many blocks, whose rows come sorted by key; a block may go on in the next batch."""
+    held: pa.Table | None = None
+
+    def search(rows: pa.Table) -> pa.RecordBatch:
+        keys, ids = rows.column("key").to_numpy(), rows.column("doc_id").to_numpy()
+        sizes, labels, points = rows.column("n").to_numpy(), rows.column("label").to_numpy(), rows.column("point").to_pylist()
+        cuts = np.flatnonzero(np.r_[True, keys[1:] != keys[:-1], True])
+        found: list[tuple[int, int]] = []
+        for x, y in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+            if y - x > 1 and (labels[x:y] != labels[x]).any():
+                found += _pairs_of(points, sizes, labels, np.arange(x, y))
+        return pa.RecordBatch.from_arrays(_pair_table(ids, found), ["a", "b"])
+
+    for batch in batches:
+        if batch.num_rows == 0:
+            continue
+        rows = pa.Table.from_batches([batch])
+        rows = rows if held is None else pa.concat_tables([held, rows]).combine_chunks()
+        keys = rows.column("key").to_numpy()
+        last = int(np.flatnonzero(keys != keys[-1])[-1]) + 1 if keys[0] != keys[-1] else 0
+        if last:
+            yield search(rows.slice(0, last))
+        held = rows.slice(last)
+    if held is not None:
+        yield search(held)
+
+
 def _tree_pairs(rows: DataFrame, chunk: int) -> DataFrame:
-    """Candidate pairs (a, b) of blocks (key, doc_id, n, label, point, size)."""
+    """Candidate pairs (a, b) of blocks (key, doc_id, n, label, point, size): blocks up to ``chunk`` members side by
+    side in sorted partitions, larger ones by pairs of chunks."""
+    small = rows.filter(F.col("size") <= chunk).select("key", "doc_id", "n", "label", "point")
+    found = small.repartition("key").sortWithinPartitions("key").mapInArrow(_block_stream, "a long, b long")
+    large = rows.filter(F.col("size") > chunk)
     parts = F.ceil(F.col("size") / chunk).cast("int")
     own = F.pmod(F.xxhash64("doc_id"), parts).cast("int")
     tasks = F.transform(F.sequence(F.lit(0), parts - 1), lambda k: F.struct(F.least(k, own).alias("i"), F.greatest(k, own).alias("j")))
-    dealt = rows.withColumn("part", own).withColumn("task", F.explode(tasks))
+    dealt = large.withColumn("part", own).withColumn("task", F.explode(tasks))
 
     def run(key: tuple, held: pa.Table) -> pa.Table:
         i, j = key[1].as_py(), key[2].as_py()
         ids, part = held.column("doc_id").to_numpy(), held.column("part").to_numpy()
-        points = np.frombuffer(b"".join(held.column("point").to_pylist()), "<u2").reshape(-1, GROUPS).astype(np.int64)
-        points = np.where(points == 65535, 1 << 40, points)
-        sizes, labels = held.column("n").to_numpy(), held.column("label").to_numpy()
         left, right = np.flatnonzero(part == i), np.flatnonzero(part == j)
-        found = []
-        if len(left) and len(right):
-            tree = CountTree(points[left], sizes[left], labels[left])
-            if i == j:
-                found = [(ids[left[x]], ids[left[y]]) for x, y in tree.pairs()]
-            else:
-                found = [(ids[left[x]], ids[right[y]]) for x, y in tree.pairs(CountTree(points[right], sizes[right], labels[right]))]
-        a, b = (np.array([f[k] for f in found], np.int64) for k in (0, 1))
-        return pa.table([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], ["a", "b"])
+        found = _pairs_of(held.column("point").to_pylist(), held.column("n").to_numpy(), held.column("label").to_numpy(), left, None if i == j else right)
+        return pa.table(_pair_table(ids, found), ["a", "b"])
 
     grouped = dealt.select("key", F.col("task.i").alias("i"), F.col("task.j").alias("j"), "part", "doc_id", "n", "label", "point")
-    return grouped.groupBy("key", "i", "j").applyInArrow(run, "a long, b long").distinct()
+    return found.union(grouped.groupBy("key", "i", "j").applyInArrow(run, "a long, b long")).distinct()
 
 
 def linked(docs: DataFrame, chunk: int = 2000) -> DataFrame:
@@ -254,12 +301,14 @@ def linked(docs: DataFrame, chunk: int = 2000) -> DataFrame:
     shared = keys.groupBy("key").agg(F.count("*").alias("size"), F.min("doc_id").alias("pivot")).filter("size > 1")
     blocks = staged(keys.join(shared, "key"), "blocks")
     stars = blocks.filter("doc_id <> pivot").select(F.col("pivot").alias("a"), F.col("doc_id").alias("b")).distinct()
-    links = staged(_verified(_bounded(stars, points), docs), "links")
+    links = staged(_verified(staged(_bounded(stars, points), "stars"), docs), "links")
     label = staged(components(links, "a", "b"), "labels")
-    known = blocks.join(label.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("key", "doc_id", "n", "size", F.coalesce("label", "doc_id").alias("label"))
+    # what a block's least member has been tested against needs no second test: blocks of two are done, pivots step out
+    rest = blocks.filter("size > 2 and doc_id <> pivot").select("key", "doc_id", "n", "size")
+    known = rest.join(label.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("key", "doc_id", "n", "size", F.coalesce("label", "doc_id").alias("label"))
     mixed = known.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("key")
-    open_rows = known.join(mixed, "key").join(points.select("doc_id", "point"), "doc_id")
-    more = staged(_verified(_tree_pairs(open_rows, chunk), docs), "links")
+    open_rows = staged(known.join(mixed, "key").join(points.select("doc_id", "point"), "doc_id"), "open")
+    more = staged(_verified(staged(_tree_pairs(open_rows, chunk), "pairs"), docs), "links")
     label = staged(components(links.union(more), "a", "b"), "labels")
     # a class goes by its least doc_id; a component by the least over its classes
     by_class = classes.join(label, classes["rep"] == label["node"], "left").select("set_id", F.coalesce("label", "rep").alias("component"))
