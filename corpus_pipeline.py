@@ -69,7 +69,7 @@ STAGES = [
     ("packing", pack_sequences),
 ]
 
-#: No stage after the first can be told in SQL; tests/llm/test_pipeline.py compares each with a brute-force version.
+#: No stage after the first can be told in SQL; tests/llm/test_streams.py compares each with a brute-force version.
 ORACLE_SQL = None
 
 
