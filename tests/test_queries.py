@@ -46,4 +46,4 @@ def test_election_takes_no_python_and_no_cartesian_product(spark, sf_dir):
     forwards, _ = identity.forward_obsolete(kg.mapping, kg.concept, cfg)
     plan = identity.elect_targets(identity.rewrite_links(kg.mapping, forwards, cfg), kg.concept, cfg)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Cartesian" not in plan and "Pandas" not in plan
-    assert "HashAggregate" in plan and "SortAggregate" not in plan
+    assert "partial_min" in plan  # combined map-side; names are strings, so Spark sorts for these aggregates
