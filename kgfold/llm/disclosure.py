@@ -7,8 +7,8 @@ against the information of the entity itself:
     PMI(t; e) = log2( (n(t,e) / n(e)) / (n(t) / N) )        IC(e) = -log2( n(e) / N )
 
 ``PMI / IC`` near 1 means that the term alone gives the entity away.  Where it reaches ``remove_at`` the term is
-removed from the documents that hold the entity, from ``generalise_at`` on it is replaced by its shape class.  n(t,e)
-and n(e) count distinct surroundings, not rows, so a thousand copies of one document are one observation; ``support``
+removed from the documents that hold the entity, from ``generalise_at`` on it is replaced by its shape class.  All four
+counts are of distinct texts, not rows, so a thousand copies of one document are one observation; ``support``
 observations are needed before a term is judged.
 
 The term list goes to the counting scan by broadcast only up to ``broadcast_rows`` terms, otherwise by a shuffled join.
@@ -80,7 +80,7 @@ def _entity(kind: str, value: Column) -> Column:
 
 
 def surroundings(docs: DataFrame, reach: int = 60) -> DataFrame:
-    """One row per identifier: doc_id, entity, terms (whole words within ``reach`` code points on either side), window (their hash)."""
+    """One row per identifier: doc_id, entity, terms (whole words within ``reach`` code points on either side), text_key (the text's hash)."""
     text = F.col("text")
     found = identifiers(text)
     seen = F.concat(*[F.transform(v, _with_entity(k)) for k, v in found.items()])
@@ -89,7 +89,7 @@ def surroundings(docs: DataFrame, reach: int = 60) -> DataFrame:
     before = F.when(F.col("x.s") > reach, F.regexp_replace(before, r"^[\p{L}\p{N}_]+", "")).otherwise(before)
     after = F.regexp_replace(F.substring(text, F.col("x.e") + 1, reach), r"[\p{L}\p{N}_]+$", "")
     words = F.array_distinct(F.regexp_extract_all(F.lower(F.concat_ws(" ", before, after)), F.lit(TERM), F.lit(0)))
-    return rows.select("doc_id", F.col("x.v").alias("entity"), words.alias("terms"), F.xxhash64(before, after).alias("window"))
+    return rows.select("doc_id", F.col("x.v").alias("entity"), words.alias("terms"), F.md5("text").alias("text_key"))
 
 
 def _with_entity(kind: str):
@@ -98,16 +98,16 @@ def _with_entity(kind: str):
 
 def disclosing_terms(docs: DataFrame, near: DataFrame, support: int = 3, remove_at: float = 0.8, generalise_at: float = 0.6, broadcast_rows: int = 100_000) -> DataFrame:
     """entity, term, action ('remove' or 'generalise') for every judged pair over the thresholds."""
-    windows = near.groupBy("entity", "window").agg(F.first("terms").alias("terms"))  # copies collapse map-side
-    seen = windows.groupBy("entity").agg(F.count("*").alias("n_e")).filter(F.col("n_e") >= support)
-    pairs = windows.select("entity", F.explode("terms").alias("term")).groupBy("entity", "term").agg(F.count("*").alias("n_te")).filter(F.col("n_te") >= support)
+    seen = near.select("entity", "text_key").distinct().groupBy("entity").agg(F.count("*").alias("n_e")).filter(F.col("n_e") >= support)  # copies collapse map-side
+    pairs = near.select("entity", "text_key", F.explode("terms").alias("term")).distinct().groupBy("entity", "term").agg(F.count("*").alias("n_te")).filter(F.col("n_te") >= support)
     judged = staged(pairs.join(seen, "entity"), "pairs")
     terms = judged.select("term").distinct()
     if judged.isEmpty():  # nothing has the support: no need to count terms
         return judged.select("entity", "term", F.lit("").alias("action"))
     terms = F.broadcast(terms) if terms.count() <= broadcast_rows else terms
-    total = docs.count()
-    words = docs.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0)))).alias("term"))
+    texts = docs.select("text").filter("text is not null").distinct()
+    total = texts.count()
+    words = texts.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0)))).alias("term"))
     frequent = words.join(terms, "term").groupBy("term").agg(F.count("*").alias("n_t"))
     rated = judged.join(frequent, "term").withColumn("ic", -F.log2(F.col("n_e") / total))
     share = F.least(F.lit(1.0), F.log2((F.col("n_te") / F.col("n_e")) / (F.col("n_t") / total)) / F.col("ic"))

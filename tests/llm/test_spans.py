@@ -79,6 +79,15 @@ def test_disclosing_terms_go(spark):
     assert "Zorblax" in got[0]  # copies are one observation
 
 
+def test_copies_beside_other_documents_of_the_entity(spark):
+    """One copied document neither hides a term (n_t grows with the copies) nor changes any text's result."""
+    own = [f"Mister Zorblax wrote to joe@ex.com about it {w} and" for w in ("une", "deux", "trois", "vier")]
+    rows = [*own, *[own[0]] * 200, *[f"about it and wrote to you mister {i:04}" for i in range(100)]]
+    cleaned = lambda texts: {(r["text"], r["clean_text"]) for r in sanitise(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    got = cleaned(rows)
+    assert all("Zorblax" not in clean for _, clean in got) and got == cleaned(sorted(set(rows)))
+
+
 def test_empty_tables(spark):
     none = spark.createDataFrame([], "doc_id long, text string")
     assert digest(scan(none)).collect() == [] and pii_digest(sanitise(none)).collect() == []
