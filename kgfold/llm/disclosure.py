@@ -1,17 +1,19 @@
 """Information-theoretic sanitisation of personal data, in DataFrame functions only.
 
-Protected entities are the values of direct identifiers (e-mail and IP addresses, card and phone numbers).  Terms that
-stand near an entity are candidates; over the whole corpus the pointwise mutual information of term and entity is set
-against the information of the entity itself:
+Protected entities are the values of direct identifiers (e-mail and IP addresses, card and phone numbers).  Every other
+word of a text that holds an entity is a candidate; over the whole corpus the pointwise mutual information of term and
+entity is set against the information of the entity itself:
 
-    PMI(t; e) = log2( (n(t,e) / n(e)) / (n(t) / N) )        IC(e) = -log2( n(e) / N )
+    PMI(t; e) = log2( p(e|t) / p(e) )    IC(e) = -log2( p(e) )    p(e) = n(e) / N    p(e|t) = (n(t,e) + p(e)) / (n(t) + 1)
 
 ``PMI / IC`` near 1 means that the term alone gives the entity away.  Where it reaches ``remove_at`` the term is
-removed from the documents that hold the entity, from ``generalise_at`` on it is replaced by its shape class.  All four
-counts are of distinct texts, not rows, so a thousand copies of one document are one observation; ``support``
-observations are needed before a term is judged.
+removed from the texts that hold it and the entity, from ``generalise_at`` on it is replaced by its shape class.  All
+four counts are of distinct texts, not rows, so a thousand copies of one document are one observation.  Every entity is
+judged, however rare: p(e|t) holds one observation at the base rate p(e), so that a single text weighs less the smaller
+the corpus is.
 
-The term list goes to the counting scan by broadcast only up to ``broadcast_rows`` terms, otherwise by a shuffled join.
+Lists go to a scan by broadcast only up to ``broadcast_rows`` entities or terms, otherwise by a shuffled join.  A text
+gives one row for each pair of its distinct entities and distinct words.
 
 Defined results: null or empty text has no spans and is returned as it is; null doc_ids are kept; repeated rows give
 repeated results; an empty table gives an empty table.
@@ -19,11 +21,11 @@ repeated results; an empty table gives an empty table.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from kgfold.llm.common import staged
-from kgfold.llm.spans import joined, masked, matches, of_kind
+from kgfold.llm.spans import blanked, joined, masked, matches, of_kind
 
 #: The contract's kinds, in its order.  Same matches as its expressions, written without backtracking.
 PATTERNS = {
@@ -32,7 +34,7 @@ PATTERNS = {
     "card": r"[0-9](?:[\x20-]?[0-9]){15,}+",
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
-TERM = r"[\p{L}\p{N}_]{3,}"
+TERM = r"[\p{L}\p{N}_]{3,}+"
 SPAN = "array<struct<s:int,o:int,e:int,k:string>>"
 HIT = "array<struct<s:int,e:int,v:string>>"
 
@@ -79,65 +81,70 @@ def _entity(kind: str, value: Column) -> Column:
     return F.concat(F.lit(f"{kind}:"), F.lower(value) if kind in ("email", "ip") else _digits(value))
 
 
-def surroundings(docs: DataFrame, reach: int = 60) -> DataFrame:
-    """One row per identifier: doc_id, entity, terms (whole words within ``reach`` code points on either side), text_key (the text's hash)."""
-    text = F.col("text")
-    found = identifiers(text)
-    seen = F.concat(*[F.transform(v, _with_entity(k)) for k, v in found.items()])
-    rows = docs.select("doc_id", "text", F.explode(seen).alias("x"))
-    before = F.substring(text, F.greatest(F.lit(1), F.col("x.s") + 1 - reach), F.least(F.col("x.s"), F.lit(reach)))
-    before = F.when(F.col("x.s") > reach, F.regexp_replace(before, r"^[\p{L}\p{N}_]+", "")).otherwise(before)
-    after = F.regexp_replace(F.substring(text, F.col("x.e") + 1, reach), r"[\p{L}\p{N}_]+$", "")
-    words = F.array_distinct(F.regexp_extract_all(F.lower(F.concat_ws(" ", before, after)), F.lit(TERM), F.lit(0)))
-    return rows.select("doc_id", F.col("x.v").alias("entity"), words.alias("terms"), F.md5("text").alias("text_key"))
-
-
 def _with_entity(kind: str):
     return lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"), _entity(kind, x["v"]).alias("v"))
 
 
-def disclosing_terms(docs: DataFrame, near: DataFrame, support: int = 3, remove_at: float = 0.8, generalise_at: float = 0.6, broadcast_rows: int = 100_000) -> DataFrame:
-    """entity, term, action ('remove' or 'generalise') for every judged pair over the thresholds."""
-    seen = near.select("entity", "text_key").distinct().groupBy("entity").agg(F.count("*").alias("n_e")).filter(F.col("n_e") >= support)  # copies collapse map-side
-    pairs = near.select("entity", "text_key", F.explode("terms").alias("term")).distinct().groupBy("entity", "term").agg(F.count("*").alias("n_te")).filter(F.col("n_te") >= support)
-    judged = staged(pairs.join(seen, "entity"), "pairs")
-    terms = judged.select("term").distinct()
-    if judged.isEmpty():  # nothing has the support: no need to count terms
-        return judged.select("entity", "term", F.lit("").alias("action"))
-    terms = F.broadcast(terms) if terms.count() <= broadcast_rows else terms
-    texts = docs.select("text").filter("text is not null").distinct()
+def _seen(text: Column) -> Column:
+    """All identifiers of a text: array of struct(s, e, v), v being the entity."""
+    return F.concat(*[F.transform(v, _with_entity(k)) for k, v in identifiers(text).items()])
+
+
+def _plain(text: Column, seen: Column) -> Column:
+    return F.when(F.size(seen) > 0, blanked(text, F.array_sort(seen))).otherwise(text)
+
+
+def observed(docs: DataFrame) -> DataFrame:
+    """One row per distinct text: text_key, entities, words (lower case, those of identifiers left out)."""
+    texts = docs.select("text").filter("text is not null").distinct().withColumn("seen", _seen(F.col("text")))
+    texts = texts.withColumn("plain", _plain(F.col("text"), F.col("seen")))
+    words = F.transform(F.regexp_extract_all("plain", F.lit(TERM), F.lit(0)), F.lower)
+    return texts.select(F.md5("text").alias("text_key"), F.array_distinct("seen.v").alias("entities"), F.array_distinct(words).alias("words"))
+
+
+def disclosing_terms(texts: DataFrame, remove_at: float = 0.8, generalise_at: float = 0.6, broadcast_rows: int = 100_000) -> DataFrame:
+    """text_key, entity, term, share for every word of ``texts`` that discloses an entity of its text."""
     total = texts.count()
-    words = texts.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0)))).alias("term"))
-    frequent = words.join(terms, "term").groupBy("term").agg(F.count("*").alias("n_t"))
-    rated = judged.join(frequent, "term").withColumn("ic", -F.log2(F.col("n_e") / total))
-    share = F.least(F.lit(1.0), F.log2((F.col("n_te") / F.col("n_e")) / (F.col("n_t") / total)) / F.col("ic"))
-    rated = rated.filter("ic > 0").withColumn("share", share).filter(F.col("share") >= generalise_at)
-    return rated.select("entity", "term", F.when(F.col("share") >= remove_at, "remove").otherwise("generalise").alias("action"))
+    seen = texts.select(F.explode("entities").alias("entity")).groupBy("entity").agg(F.count("*").alias("n_e"))
+    seen = F.broadcast(seen) if seen.count() <= broadcast_rows else seen
+    frequent = texts.select(F.explode("words").alias("term")).groupBy("term").agg(F.count("*").alias("n_t"))
+    pairs = texts.filter(F.size("entities") > 0).select("text_key", "words", F.explode("entities").alias("entity"))
+    rated = pairs.select("text_key", "entity", F.explode("words").alias("term")).join(frequent, "term")  # dealt by term, as is the window
+    rated = rated.withColumn("n_te", F.count("*").over(Window.partitionBy("term", "entity"))).join(seen, "entity")
+    base = F.col("n_e") / total
+    share = F.log2((F.col("n_te") + base) / (F.col("n_t") + 1) / base) / -F.log2(base)
+    return rated.filter(F.col("n_e") < total).withColumn("share", share).filter(F.col("share") >= min(remove_at, generalise_at)).select("text_key", "entity", "term", "share")
 
 
 def _term_spans(terms: Column, kind: str, order: int) -> Column:
-    pattern = F.concat(F.lit(r"(?iu)(?<![\p{L}\p{N}_])(?:"), F.array_join(terms, "|"), F.lit(r")(?![\p{L}\p{N}_])"))
-    found = of_kind(matches(F.col("text"), pattern), kind, order)
-    return F.coalesce(F.when(F.size(terms) > 0, found), F.array().cast(SPAN))
+    return of_kind(F.filter("_words", lambda x: F.array_contains(terms, F.lower(x["v"]))), kind, order)
 
 
-def sanitise(docs: DataFrame, support: int = 3, remove_at: float = 0.8, generalise_at: float = 0.6, reach: int = 60, broadcast_rows: int = 100_000) -> DataFrame:
+def sanitise(docs: DataFrame, remove_at: float = 0.8, generalise_at: float = 0.6, broadcast_rows: int = 100_000) -> DataFrame:
     """``docs`` (doc_id, text, any others) with ``spans`` (struct(s, o, e, k) by kind, then start) and ``clean_text``."""
-    near = staged(surroundings(docs.select("doc_id", "text"), reach), "surroundings")
-    flagged = disclosing_terms(docs, near, support, remove_at, generalise_at, broadcast_rows)
-    listed = near.select("doc_id", "entity").distinct().join(flagged, "entity").groupBy("doc_id")
-    by_doc = listed.agg(F.sort_array(F.collect_set(F.when(F.col("action") == "remove", F.col("term")))).alias("_remove"), F.sort_array(F.collect_set(F.when(F.col("action") != "remove", F.col("term")))).alias("_generalise"))
-    by_doc = staged(by_doc.withColumnRenamed("doc_id", "_doc"), "flagged")
+    texts = staged(observed(docs), "texts")
+    flagged = disclosing_terms(texts, remove_at, generalise_at, broadcast_rows)
+    sure = F.col("share") >= remove_at
+    by_text = flagged.groupBy("text_key").agg(F.collect_set(F.when(sure, F.col("term"))).alias("_remove"), F.collect_set(F.when(~sure, F.col("term"))).alias("_generalise"))
+    by_text = staged(by_text.withColumn("_generalise", F.array_except("_generalise", "_remove")), "flagged")
+    terms = by_text.agg(F.sum(F.size("_remove") + F.size("_generalise"))).first()[0] or 0
     text, found = F.col("text"), identifiers(F.col("text"))
     spans = [of_kind(v, k, i) for i, (k, v) in enumerate(found.items())]
-    rows = docs
-    if not by_doc.isEmpty():
-        known = F.broadcast(by_doc) if by_doc.count() <= broadcast_rows else by_doc
-        rows = docs.join(known, docs["doc_id"].eqNullSafe(known["_doc"]), "left")
-        spans += [_term_spans(F.col("_remove"), "term", 4), _term_spans(F.col("_generalise"), "class", 5)]
+    if terms:
+        known = F.broadcast(by_text) if terms <= broadcast_rows else by_text
+        held = docs.withColumn("_seen", _seen(text)).filter(F.size("_seen") > 0).join(known, F.md5(text) == known["text_key"], "left")  # texts without identifiers are not moved
+        held = held.withColumn("_plain", _plain(text, F.col("_seen"))).withColumn("_words", F.when(F.col("text_key").isNotNull(), matches(F.col("_plain"), TERM)).otherwise(F.array().cast(HIT)))
+        none = F.array().cast("array<string>")
+        held = _cleaned(held, docs.columns, [*spans, _term_spans(F.coalesce("_remove", none), "term", 4), _term_spans(F.coalesce("_generalise", none), "class", 5)])
+        rest = docs.filter(text.isNull() | (F.size(_seen(text)) == 0))
+        return held.union(rest.select(*docs.columns, F.array().cast(SPAN).alias("spans"), text.alias("clean_text")))
+    return _cleaned(docs, docs.columns, spans)
+
+
+def _cleaned(rows: DataFrame, columns: list[str], spans: list[Column]) -> DataFrame:
     by_kind = F.array_sort(F.transform(F.concat(*spans), lambda x: F.struct(x["o"].alias("o"), x["s"].alias("s"), x["e"].alias("e"), x["k"].alias("k"))))
     out = rows.withColumn("spans", F.transform(by_kind, lambda x: F.struct(x["s"].alias("s"), x["o"].alias("o"), x["e"].alias("e"), x["k"].alias("k"))))
-    return out.withColumn("clean_text", masked(text, F.array_sort("spans"))).select(*docs.columns, "spans", "clean_text")
+    return out.withColumn("clean_text", masked(F.col("text"), F.array_sort("spans"))).select(*columns, "spans", "clean_text")
 
 
 def _is(kind: str):

@@ -58,3 +58,15 @@ def masked(text: Column, spans: Column) -> Column:
     )
     done = F.concat(state["out"], F.substring(text, state["at"] + 1, F.char_length(text)))
     return F.when(F.size(spans) > 0, done).otherwise(text)
+
+
+def blanked(text: Column, spans: Column) -> Column:
+    """The text with each span (sorted by start) replaced by as many spaces, so that all offsets stay."""
+
+    def step(acc: Column, x: Column) -> Column:
+        start = F.greatest(acc["at"], x["s"])
+        kept, gap = F.substring(text, acc["at"] + 1, start - acc["at"]), F.repeat(F.lit(" "), F.greatest(F.lit(0), x["e"] - start))
+        return F.struct(F.concat(acc["out"], kept, gap).alias("out"), F.greatest(acc["at"], x["e"]).alias("at"))
+
+    state = F.aggregate(spans, F.struct(F.lit("").alias("out"), F.lit(0).alias("at")), step)
+    return F.concat(state["out"], F.substring(text, state["at"] + 1, F.char_length(text)))

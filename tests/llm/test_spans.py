@@ -88,6 +88,16 @@ def test_copies_beside_other_documents_of_the_entity(spark):
     assert all("Zorblax" not in clean for _, clean in got) and got == cleaned(sorted(set(rows)))
 
 
+def test_entities_of_one_text_are_judged(spark):
+    """One observation is enough where the corpus is large, anywhere in the text, also glued to the identifier."""
+    far = "about it and wrote to you mister " * 10
+    rows = [(0, f"Zorblax {far} joe@ex.com {far} QUUX"), (1, "abcd4111111111111111 Zorbla"), (None, None), *[(10 + i, f"about it and wrote to you mister {i:04}") for i in range(300)]]
+    for n in (0, 100_000):
+        got = {r["doc_id"]: r["clean_text"] for r in sanitise(spark.createDataFrame(rows, "doc_id long, text string"), broadcast_rows=n).collect()}
+        assert got[0] == f"[TERM] {far} [EMAIL] {far} [TERM]" and got[1] == "[TERM][CARD] [TERM]"
+        assert len(got) == len(rows) and all(got[i] == t for i, t in rows[2:])
+
+
 def test_empty_tables(spark):
     none = spark.createDataFrame([], "doc_id long, text string")
     assert digest(scan(none)).collect() == [] and pii_digest(sanitise(none)).collect() == []
