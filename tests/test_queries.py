@@ -36,6 +36,17 @@ def test_matches_oracle(spark, duck, sf_dir, name):
     assert got == rows_of([d[0] for d in want.description], want.fetchall())
 
 
+def test_every_name_has_its_ancestors(spark, sf_dir):
+    edges = [(r["child"], r["parent"]) for r in load(spark, sf_dir, "k3").hier.select("child", "parent").collect()]
+    want, level, d = [], edges, 1
+    while level:
+        want += [(name, above, d) for name, above in level]
+        level, d = [(name, parent) for name, above in level for child, parent in edges if child == above], d + 1
+    got = ops.queries()["op_recursive_ancestors"](spark, sf_dir)
+    assert sorted(map(tuple, got.select("name", "above", "d").collect())) == sorted(want)
+    assert {name.split(":")[0] for name, _, _ in want} == {"CUST", "GEO", "SUPP"}
+
+
 def test_names_and_oracles_fit():
     assert set(ops.oracle_sql()) <= set(ops.queries())
     assert len(ops.queries()) > 150
