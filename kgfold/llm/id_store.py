@@ -152,7 +152,7 @@ def write_store(docs: DataFrame, folder: str, tokenizer_path: str, end_id: int =
 
     def rooted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            roots = [merkle([c[i : i + DIGEST] for i in range(0, len(c), DIGEST + 4)]) for c in b.column("chunks").to_pylist()]
+            roots = [merkle(_entries(c)) for c in b.column("chunks").to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(roots, pa.binary())], [*b.schema.names, "root"])
 
     recipes = recipes.select("doc_id", "start", "n_tokens", "row_key", "chunks")
@@ -160,22 +160,8 @@ def write_store(docs: DataFrame, folder: str, tokenizer_path: str, end_id: int =
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
     ordered = rooted_rows.repartitionByRange(n, F.col("start")).sortWithinPartitions("start")
     ordered.write.option("compression", "zstd").parquet(f"{folder}/recipes")
-    files = read_recipes(spark, folder).withColumn("file", F.input_file_name())
-
-    def file_root(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        roots, first, ids = [], None, 0
-        for b in batches:
-            if b.num_rows:
-                first = b.column(0)[0].as_py() if first is None else first
-                roots += b.column(2).to_pylist()
-                ids += sum(b.column(1).to_pylist())
-        if roots:
-            yield pa.RecordBatch.from_arrays([pa.array([first], pa.int64()), pa.array([len(roots)], pa.int64()), pa.array([ids], pa.int64()), pa.array([merkle(roots)], pa.binary())], ["first", "docs", "ids", "root"])
-
-    parts = files.select("start", "n_tokens", "root").mapInArrow(file_root, "first long, docs long, ids long, root binary").collect()  # one row per read split of the small recipe files
-    parts.sort(key=lambda p: p["first"])
-    top = merkle([bytes(p["root"]) for p in parts])
-    row = (top.hex(), sum(p["docs"] for p in parts), sum(p["ids"] for p in parts), width, end_id, tokenizer_path)
+    top, docs_in, ids_in = _recipe_root(spark, folder, recompute=False)
+    row = (top, docs_in, ids_in, width, end_id, tokenizer_path)
     spark.createDataFrame([row], "root string, docs long, ids long, width int, end_id int, tokenizer string").coalesce(1).write.json(f"{folder}/manifest")
 
 
@@ -187,8 +173,47 @@ def read_chunks(spark: SparkSession, folder: str) -> DataFrame:
     return spark.read.schema("kind string, key binary, doc_id long, n int, data binary").parquet(f"{folder}/packed").filter("kind = 'c'").select(F.col("key").alias("digest"), "n", "data")
 
 
-def _width(spark: SparkSession, folder: str) -> int:
-    return spark.read.schema("width int").json(f"{folder}/manifest").first()["width"]
+def _entries(chunks: bytes) -> list[bytes]:
+    return [chunks[i : i + DIGEST + 4] for i in range(0, len(chunks), DIGEST + 4)]
+
+
+def _recipe_root(spark: SparkSession, folder: str, recompute: bool) -> tuple[str, int, int]:
+    """Root, documents and ids of the recipes as they lie in the files, however the reader splits these.
+
+    A document's leaf binds its root, doc_id, start and length.  With ``recompute`` roots come from the recipes, and one
+    that differs from the stored root fails the job.
+    """
+
+    def leaves(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            out = []
+            for doc, start, n, chunks, root in zip(*(c.to_pylist() for c in b.columns[1:]), strict=True):
+                if recompute:
+                    entries = _entries(chunks)
+                    if merkle(entries) != root or sum(int.from_bytes(e[DIGEST:], "little") for e in entries) != n:
+                        raise ValueError(f"the recipe of the document at {start} doesn't fit its root")
+                out.append(hashlib.blake2b(repr((doc, start, n)).encode() + root, digest_size=DIGEST).digest())
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), b.column(3), pa.array(out, pa.binary())], ["file", "start", "n_tokens", "leaf"])
+
+    def file_root(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            roots = [merkle([x["leaf"] for x in docs]) for docs in b.column(3).to_pylist()]
+            yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(roots, pa.binary())], ["first", "docs", "ids", "root"])
+
+    rows = read_recipes(spark, folder).select(F.input_file_name().alias("file"), "doc_id", "start", "n_tokens", "chunks", "root")
+    rows = rows.mapInArrow(leaves, "file string, start long, n_tokens long, leaf binary")
+    files = rows.groupBy("file").agg(F.min("start").alias("first"), F.count("*").alias("docs"), F.sum("n_tokens").alias("ids"), F.array_sort(F.collect_list(F.struct("start", "leaf"))).alias("leaves"))
+    parts = files.drop("file").mapInArrow(file_root, "first long, docs long, ids long, root binary").collect()  # one row per recipe file
+    parts.sort(key=lambda p: p["first"])
+    return merkle([bytes(p["root"]) for p in parts]).hex(), sum(p["docs"] for p in parts), sum(p["ids"] for p in parts)
+
+
+def _verified_width(spark: SparkSession, folder: str) -> int:
+    """Bytes per id, after the recipes were proved against the manifest."""
+    kept = spark.read.schema("root string, docs long, ids long, width int").json(f"{folder}/manifest").first()
+    if kept is None or (kept["root"], kept["docs"], kept["ids"]) != (found := _recipe_root(spark, folder, recompute=True)):
+        raise ValueError(f"recipes don't fit the manifest: {found} found, {tuple(kept)[:3]} written" if kept else "the manifest is empty")
+    return kept["width"]
 
 
 def _pieces(recipes: DataFrame) -> DataFrame:
@@ -211,26 +236,33 @@ def _pieces(recipes: DataFrame) -> DataFrame:
 
 
 def read_documents(spark: SparkSession, folder: str) -> DataFrame:
-    """Rebuild every document from the files: doc_id, start, ids (array)."""
-    width = _width(spark, folder)
+    """Rebuild every document from the files: doc_id, start, ids (array).
+
+    Recipes that don't fit the manifest, and chunks that are missing or don't match their digest, fail the job.
+    """
+    width = _verified_width(spark, folder)
     kind = "<u2" if width == 2 else "<u4"
 
     def ids(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
+            for parts in b.column(2).to_pylist():
+                for p in parts:
+                    if p["data"] is None or hashlib.blake2b(p["data"], digest_size=DIGEST).digest() != p["digest"]:
+                        raise ValueError(f"chunk {p['digest'].hex()} is {'missing' if p['data'] is None else 'damaged'}")
             joined = [np.frombuffer(b"".join(p["data"] for p in parts), kind).tolist() for parts in b.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(joined, pa.list_(pa.int64()))], ["doc_id", "start", "ids"])
 
-    parts = _pieces(read_recipes(spark, folder)).join(read_chunks(spark, folder), "digest")
-    whole = parts.groupBy("row_key").agg(F.first("doc_id").alias("doc_id"), F.first("start").alias("start"), F.array_sort(F.collect_list(F.struct("at", "data"))).alias("parts"))
+    parts = _pieces(read_recipes(spark, folder)).join(read_chunks(spark, folder), "digest", "left")
+    whole = parts.groupBy("row_key").agg(F.first("doc_id").alias("doc_id"), F.first("start").alias("start"), F.array_sort(F.collect_list(F.struct("at", "data", "digest"))).alias("parts"))
     return whole.select("doc_id", "start", "parts").mapInArrow(ids, "doc_id long, start long, ids array<long>")
 
 
 def read_checks(spark: SparkSession, folder: str) -> DataFrame:
     """From the files alone: doc_id, start, n_tokens and the CRC-32 of each document's ids (4 bytes each).
 
-    A chunk whose bytes don't match its digest, or that is missing, fails the job.
+    A chunk whose bytes don't match its digest, or that is missing, and recipes that don't fit the manifest fail the job.
     """
-    width = _width(spark, folder)
+    width = _verified_width(spark, folder)
     kind = "<u2" if width == 2 else "<u4"
 
     def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -4,6 +4,8 @@ import zlib
 
 import numpy as np
 import public_tokenizers
+import pyarrow as pa
+import pyarrow.parquet as pq
 import pytest
 from tokenizers import Tokenizer
 
@@ -111,6 +113,25 @@ def test_store_round_trip(spark, sf_dir, tmp_path):
     assert {r["doc_id"]: r["ids"] for r in read_documents(spark, folder).collect()} == ids
 
 
+@pytest.mark.parametrize("loss", ["recipe file", "recipe row", "altered recipe", "lost chunk"])
+def test_damaged_stores_are_refused(spark, sf_dir, tmp_path, loss):
+    folder = tmp_path / "store"
+    write_store(table(spark, sf_dir, "documents", "doc_id", "text").limit(60).repartition(3), str(folder), public_tokenizers.path("word_bpe_49k.json"))
+    assert read_checks(spark, str(folder)).count() == read_documents(spark, str(folder)).count() == 60
+    files = sorted((folder / ("packed/kind=c" if loss == "lost chunk" else "recipes")).glob("*.parquet"))
+    path = next(f for f in files if pq.ParquetFile(f).metadata.num_rows > 1)
+    rows = pq.ParquetFile(path).read()
+    (path.parent / f".{path.name}.crc").unlink()
+    path.unlink()
+    if loss == "altered recipe":
+        rows = rows.set_column(rows.schema.get_field_index("doc_id"), "doc_id", pa.array([-5, *rows.column("doc_id").to_pylist()[1:]], pa.int64()))
+    if loss != "recipe file":
+        pq.write_table(rows if loss == "altered recipe" else rows.slice(1), path)
+    for read in (read_checks, read_documents):
+        with pytest.raises(Exception, match="fit the manifest|lacks|missing"):
+            read(spark, str(folder)).collect()
+
+
 def test_packing_is_gapless_and_whole(spark, sf_dir):
     docs, ids = docs_and_ids(spark, sf_dir, "byte_bpe_50k.json")
     rows = pack(docs.repartition(5), public_tokenizers.path("byte_bpe_50k.json")).toPandas()
