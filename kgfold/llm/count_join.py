@@ -4,13 +4,16 @@ Tokens (five-word shingles) are hashed into groups; a document's counts by group
 minima of two points' coordinates bounds the overlap of their sets.
 
 1. Documents with the same set are one class; only classes are joined.
-2. Classes meet in blocks: each set's tokens are put into one global order (frequent tokens last, then by hash), and
-   two sets of similarity 4/5 must share one of their first floor(n/5)+1 tokens.  Which tokens count as frequent only
-   steers the work; any choice gives the same links.
+2. Classes meet in blocks: each set's tokens are put into one global order (first three tenths of the hash range, by how
+   many sets hold them, rare ones first; then the rest by hash), and two sets of similarity 4/5 must share one of their
+   first floor(n/5)+1 tokens.  The numbers are counted over all classes; a token of one set alone makes no block, so a
+   set with floor(n/5)+1 such tokens is alone.
+   Blocks with the same members count as one.
 3. Every block first tests its members against its least member: sizes, then the count bound, then the sets.
 4. Blocks that still hold more than one component are searched with an R-tree over the points: node pairs whose summed
    minima of upper corners can't reach the needed overlap are cut, pairs already connected are skipped, the rest is
-   verified on the sets.  Blocks over ``chunk`` members are split into chunks, and every pair of chunks is one task.
+   bounded again with FINE groups and then verified on the sets.  Blocks over ``chunk`` members are split into chunks,
+   and every pair of chunks is one task.
 5. Links are joined to components by star contraction.
 
 So a group of m near copies costs about m tests a block instead of m * m / 2, and no link between different texts is
@@ -34,7 +37,8 @@ from pyspark.sql import functions as F
 from kgfold.kernels import components
 from kgfold.llm.common import staged
 
-WORDS, GROUPS, FANOUT = 5, 64, 16
+WORDS, GROUPS, FINE, FANOUT = 5, 64, 512, 16
+LOW = np.uint64(3 * (1 << 64) // 10)  # tokens under it are counted, about three in ten
 _MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD)]
 
 
@@ -64,12 +68,22 @@ def needed(a, b):
 
 
 def point_of(s: np.ndarray) -> bytes:
-    """Counts by group, 16 bits each."""
-    return np.minimum(np.bincount((s >> np.uint64(20)).astype(np.int64) % GROUPS, minlength=GROUPS), 65535).astype("<u2").tobytes()
+    """Counts by FINE groups, 8 bits each."""
+    return np.minimum(np.bincount((s >> np.uint64(20)).astype(np.int64) % FINE, minlength=FINE), 255).astype(np.uint8).tobytes()
 
 
-def counts_of(points: list[bytes]) -> np.ndarray:
-    """Points as rows of counts; counts cut at 16 bits become unbounded."""
+def counts_of(points: list[bytes], groups: int = GROUPS) -> np.ndarray:
+    """Points as rows of counts by ``groups``, a divisor of FINE; counts cut at 8 bits become unbounded."""
+    p = np.frombuffer(b"".join(points), np.uint8).reshape(-1, FINE // groups, groups)
+    return np.where((p == 255).any(axis=1), 1 << 40, p.sum(axis=1, dtype=np.int64))
+
+
+def coarse(points: list[bytes]) -> list[bytes]:
+    """Points by GROUPS, 16 bits each, for the trees."""
+    return [r.tobytes() for r in np.minimum(counts_of(points), 65535).astype("<u2")]
+
+
+def tree_counts(points: list[bytes]) -> np.ndarray:
     p = np.frombuffer(b"".join(points), "<u2").reshape(-1, GROUPS).astype(np.int64)
     return np.where(p == 65535, 1 << 40, p)
 
@@ -123,66 +137,112 @@ class CountTree:
             yield int(self.order[a * FANOUT + x]), int(two.order[b * FANOUT + y])
 
 
-def _frequent(docs: DataFrame, least_local: int = 3, least: int = 8, most: int = 1_000_000) -> np.ndarray:
-    """Tokens that many documents share, for the order only: per window of documents those met ``least_local`` times or
-    more, summed over the table; at most ``most`` (8 MB), the commonest."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[np.ndarray] = []
-        size = 0
-
-        def flush() -> pa.RecordBatch:
-            t, c = np.unique(np.concatenate(held), return_counts=True)
-            keep = c >= least_local
-            return pa.RecordBatch.from_arrays([pa.array(t[keep].view(np.int64)), pa.array(c[keep].astype(np.int64))], ["token", "n"])
-
-        for b in batches:
-            for text in b.column(0).to_pylist():
-                held.append(tokens(text))
-                size += len(held[-1])
-                if size > 4_000_000:
-                    yield flush()
-                    held, size = [], 0
-        if held:
-            yield flush()
-
-    counts = docs.select("text").mapInArrow(run, "token long, n long").groupBy("token").agg(F.sum("n").alias("n")).filter(F.col("n") >= least)
-    top = counts.orderBy(F.desc("n"), "token").limit(most).select("token").toPandas()["token"].to_numpy(np.int64)
-    return np.sort(top.view(np.uint64))
-
+def _sets(docs: DataFrame) -> DataFrame:
+    """doc_id, n, set_id, point and the tokens that may come first in the global order: those under ``LOW`` and, where
+    these are too few, the next ones by hash."""
 
-def _members(docs: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for at in range(0, whole.num_rows, 1000):
+                b = whole.slice(at, 1000)
+                sets = [tokens(t) for t in b.column(1).to_pylist()]
+                names = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets]
+                first = [s[: max(int(np.searchsorted(s, LOW)), len(s) // 5 + 1)].tobytes() for s in sets]
+                cols = [pa.array([len(s) for s in sets], pa.int64()), pa.array(names, pa.binary()), pa.array([point_of(s) for s in sets], pa.binary()), pa.array(first, pa.binary())]
+                yield pa.RecordBatch.from_arrays([b.column(0), *cols], ["doc_id", "n", "set_id", "point", "first"])
+
+    return docs.mapInArrow(run, "doc_id long, n long, set_id binary, point binary, first binary")
+
+
+def _sheets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Classes (rep, n, point, first) packed by the hundred, so that what is said of their tokens is sent as arrays."""
+    held: list[tuple] = []
+    size = 0
+
+    def flush() -> pa.RecordBatch:
+        reps = np.array([r[0] for r in held], "<i8").tobytes()
+        name = int.from_bytes(hashlib.blake2b(reps, digest_size=8).digest(), "little", signed=True)  # reps are unique
+        row = (name, reps, np.array([r[1] for r in held], "<i8").tobytes(), b"".join(r[2] for r in held), np.array([len(r[3]) // 8 for r in held], "<i8").tobytes(), b"".join(r[3] for r in held))
+        return pa.RecordBatch.from_arrays([pa.array([v], pa.int64() if k == 0 else pa.binary()) for k, v in enumerate(row)], ["sheet", "reps", "sizes", "points", "counts", "first"])
+
+    for b in batches:
+        for row in zip(*(c.to_pylist() for c in b.columns), strict=True):
+            held.append(row)
+            size += len(row[3])
+            if size > 1 << 23:
+                yield flush()
+                held, size = [], 0
+    if held:
+        yield flush()
+
+
+def _frequencies(sheets: DataFrame, at_once: int = 4_000_000) -> DataFrame:
+    """sheet, said: by bucket of the hash range, in how many sets (65535: or more) each distinct low token occurs.
+
+    Tokens are told apart by 48 bits; a collision only raises the number, for all documents alike.  A sheet sends a
+    token once, however many of its sets hold it; a bucket holds about ``at_once`` tokens.
+    """
+    total = sheets.agg(F.coalesce(F.sum(F.length("first")), F.lit(0))).first()[0] // 8
+    width = int(LOW) // max(1, -(-total // at_once)) + 1
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            sets = [tokens(t) for t in b.column(1).to_pylist()]
-            names = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(names, pa.binary())], ["doc_id", "n", "set_id"])
-
-    return docs.mapInArrow(run, "doc_id long, n long, set_id binary")
-
-
-def _prefixes(docs: DataFrame, frequent: np.ndarray) -> DataFrame:
-    """doc_id, n, point (counts by group, 16 bits each), first tokens in the global order."""
-    shared = docs.sparkSession.sparkContext.broadcast(frequent)
+            for sheet, first in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                t, n = _low_counts(first)
+                bucket = (t // np.uint64(width)).astype(np.int64)
+                cuts = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1], True]) if len(t) else np.zeros(1, np.int64)
+                raw, times = t.astype(">u8").view(np.uint8).reshape(-1, 8)[:, :6].copy(), np.minimum(n, 65535).astype("<u2")
+                parts = list(zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True))
+                cols = [pa.array([int(bucket[x]) for x, _ in parts], pa.int64()), pa.array([sheet] * len(parts), pa.int64()), pa.array([raw[x:y].tobytes() for x, y in parts], pa.binary()), pa.array([times[x:y].tobytes() for x, y in parts], pa.binary())]
+                yield pa.RecordBatch.from_arrays(cols, ["bucket", "sheet", "tokens", "times"])
+
+    def add(rows: pa.Table) -> pa.Table:
+        blobs, times = rows.column("tokens").to_pylist(), np.frombuffer(b"".join(rows.column("times").to_pylist()), "<u2").astype(np.int64)
+        raw = np.zeros((len(times), 8), np.uint8)
+        raw[:, :6] = np.frombuffer(b"".join(blobs), np.uint8).reshape(-1, 6)
+        _, which = np.unique(raw.view(">u8").ravel(), return_inverse=True)
+        said = np.minimum(np.bincount(which, weights=times)[which], 65535).astype("<u2")
+        ends = np.cumsum([len(x) // 6 for x in blobs])
+        parts = [said[e - len(x) // 6 : e].tobytes() for e, x in zip(ends.tolist(), blobs, strict=True)]
+        return pa.table([rows.column("bucket"), rows.column("sheet"), pa.array(parts, pa.binary())], ["bucket", "sheet", "said"])
+
+    dealt = sheets.select("sheet", "first").mapInArrow(deal, "bucket long, sheet long, tokens binary, times binary")
+    added = dealt.groupBy("bucket").applyInArrow(add, "bucket long, sheet long, said binary")
+    return added.groupBy("sheet").agg(F.array_sort(F.collect_list(F.struct("bucket", "said"))).alias("said"))
+
+
+def _low_counts(first: bytes) -> tuple[np.ndarray, np.ndarray]:
+    t = np.frombuffer(first, "<u8")
+    return np.unique(t[t < LOW], return_counts=True)
+
+
+def _prefixes(sheets: DataFrame, said: DataFrame) -> DataFrame:
+    """doc_id, n, point, fine, first: for each set that other sets could reach, its first floor(n/5)+1 tokens in the global
+    order, without those of no other set."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        common = shared.value
         for b in batches:
-            points, firsts, sizes = [], [], []
-            for text in b.column(1).to_pylist():
-                s = tokens(text)
-                points.append(point_of(s))
-                if len(common) and len(s):
-                    at = np.minimum(np.searchsorted(common, s), len(common) - 1)
-                    late = common[at] == s
-                    s = np.concatenate([s[~late], s[late]])
-                sizes.append(len(s))
-                firsts.append(s[: len(s) // 5 + 1].view(np.int64))
-            offsets = np.concatenate([[0], np.cumsum([len(f) for f in firsts])]).astype(np.int32)
-            lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(firsts) if firsts else np.zeros(0, np.int64)))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sizes, pa.int64()), pa.array(points, pa.binary()), lists], ["doc_id", "n", "point", "first"])
-
-    return docs.mapInArrow(run, "doc_id long, n long, point binary, first array<long>")
+            for _, reps, sizes, points, counts, first, parts in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                low, _ = _low_counts(first)
+                often = np.frombuffer(b"".join(p["said"] for p in parts or []), "<u2")
+                t, n = np.frombuffer(first, "<u8"), np.frombuffer(sizes, "<i8")
+                sets = np.frombuffer(counts, "<i8")
+                is_low = t < LOW
+                df = np.full(len(t), 1 << 20, np.int64)
+                df[is_low] = often[np.searchsorted(low, t[is_low])]
+                owner = np.repeat(np.arange(len(n)), sets)
+                rank = np.lexsort((t, df, owner))  # low tokens by df and hash, then the others by hash
+                place = np.arange(len(t)) - np.repeat(np.cumsum(sets) - sets, sets)
+                keep = (place < np.repeat(n // 5 + 1, sets)) & (df[rank] > 1)
+                found, own = t[rank][keep].view(np.int64), owner[keep]
+                open_sets, at = np.unique(own, return_index=True)
+                lists = pa.ListArray.from_arrays(pa.array(np.r_[at, len(found)].astype(np.int32)), pa.array(found))
+                ids = np.frombuffer(reps, "<i8")[open_sets]
+                fine = [points[k * FINE : (k + 1) * FINE] for k in open_sets.tolist()]
+                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(n[open_sets]), pa.array(coarse(fine), pa.binary()), pa.array(fine, pa.binary()), lists], ["doc_id", "n", "point", "fine", "first"])
+
+    rows = sheets.join(said, "sheet", "left").select("sheet", "reps", "sizes", "points", "counts", "first", "said")
+    return rows.mapInArrow(run, "doc_id long, n long, point binary, fine binary, first array<long>")
 
 
 def _bounded(pairs: DataFrame, points: DataFrame) -> DataFrame:
@@ -191,17 +251,17 @@ def _bounded(pairs: DataFrame, points: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             if b.num_rows:
-                overlap = np.minimum(*(counts_of(b.column(k).to_pylist()) for k in ("pa", "pb"))).sum(axis=1)
+                overlap = np.minimum(*(counts_of(b.column(k).to_pylist(), FINE) for k in ("pa", "pb"))).sum(axis=1)
                 ok = pa.array(9 * overlap >= 4 * (b.column("na").to_numpy() + b.column("nb").to_numpy()))
                 yield pa.RecordBatch.from_arrays([b.column(k).filter(ok) for k in ("a", "b")], ["a", "b"])
 
-    one = points.select(F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("point").alias("pa"))
-    two = points.select(F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("point").alias("pb"))
+    one = points.select(F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("fine").alias("pa"))
+    two = points.select(F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("fine").alias("pb"))
     rows = pairs.join(one, "a").join(two, "b").filter("5 * na >= 4 * nb and 5 * nb >= 4 * na")
     return rows.select("a", "b", "na", "nb", "pa", "pb").mapInArrow(run, "a long, b long")
 
 
-def _verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:
+def _verified(pairs: DataFrame, docs: DataFrame, broadcast_rows: int = 1_000_000) -> DataFrame:
     """Pairs (a, b) whose sets really have similarity 4/5 or more."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -216,7 +276,8 @@ def _verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:
                 keep.append(9 * both >= 4 * (len(known[x]) + len(known[y])))
             yield pa.RecordBatch.from_arrays([b.column(k).filter(pa.array(keep, pa.bool_())) for k in ("a", "b")], ["a", "b"])
 
-    ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
+    ids = staged(pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct(), "ids")
+    ids = F.broadcast(ids) if ids.count() <= broadcast_rows else ids  # beyond, Spark shuffles both sides, with a Bloom filter on large scans
     texts = docs.join(ids, "doc_id", "left_semi").dropDuplicates(["doc_id"])
     rows = pairs.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("tb")), "b")
     return rows.select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
@@ -226,7 +287,7 @@ def _pairs_of(points: list[bytes], sizes: np.ndarray, labels: np.ndarray, left:
     """Index pairs that the tree leaves, within ``left`` or between ``left`` and ``right``."""
 
     def tree(rows: np.ndarray) -> CountTree:
-        return CountTree(counts_of([points[k] for k in rows]), sizes[rows], labels[rows])
+        return CountTree(tree_counts([points[k] for k in rows]), sizes[rows], labels[rows])
 
     if right is None:
         return [(left[x], left[y]) for x, y in tree(left).pairs()] if len(left) > 1 else []
@@ -291,14 +352,18 @@ def _tree_pairs(rows: DataFrame, chunk: int) -> DataFrame:
 def linked(docs: DataFrame, chunk: int = 2000) -> DataFrame:
     """doc_id, n_shingles, component_id of every row of ``docs`` (doc_id, text)."""
     docs = docs.select("doc_id", "text")
-    members = staged(_members(docs), "members")
+    rows = staged(_sets(docs), "sets")
+    members = rows.select("doc_id", "n", "set_id")
+    known = rows.filter("set_id is not null and doc_id is not null").groupBy("set_id")
     classes = staged(members.filter("set_id is not null and doc_id is not null").groupBy("set_id").agg(F.min("doc_id").alias("rep")), "classes")
-    frequent = _frequent(docs)
-    reps = classes.select(F.col("rep").alias("doc_id")).distinct()
-    sets = staged(_prefixes(docs.filter("doc_id is not null").join(reps, "doc_id", "left_semi"), frequent).filter("n > 0"), "sets")
-    points = sets.select("doc_id", "n", "point").dropDuplicates(["doc_id"])
+    once = known.agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("point").alias("point"), F.first("first").alias("first"))
+    sheets = staged(once.select("rep", "n", "point", "first").mapInArrow(_sheets, "sheet long, reps binary, sizes binary, points binary, counts binary, first binary"), "sheets")
+    sets = staged(_prefixes(sheets, _frequencies(sheets)), "open")
+    points = sets.select("doc_id", "n", "point", "fine").dropDuplicates(["doc_id"])
     keys = sets.select("doc_id", "n", F.explode("first").alias("key"))
-    shared = keys.groupBy("key").agg(F.count("*").alias("size"), F.min("doc_id").alias("pivot")).filter("size > 1")
+    marks = [F.bit_xor(F.xxhash64(F.lit(k), "doc_id")).alias(f"mark{k}") for k in range(2)]
+    shared = keys.groupBy("key").agg(F.count("*").alias("size"), F.min("doc_id").alias("pivot"), *marks).filter("size > 1")
+    shared = shared.groupBy("size", "pivot", "mark0", "mark1").agg(F.min("key").alias("key")).select("key", "size", "pivot")  # one of the blocks with the same members
     blocks = staged(keys.join(shared, "key"), "blocks")
     stars = blocks.filter("doc_id <> pivot").select(F.col("pivot").alias("a"), F.col("doc_id").alias("b")).distinct()
     links = staged(_verified(staged(_bounded(stars, points), "stars"), docs), "links")
@@ -308,7 +373,7 @@ def linked(docs: DataFrame, chunk: int = 2000) -> DataFrame:
     known = rest.join(label.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("key", "doc_id", "n", "size", F.coalesce("label", "doc_id").alias("label"))
     mixed = known.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("key")
     open_rows = staged(known.join(mixed, "key").join(points.select("doc_id", "point"), "doc_id"), "open")
-    more = staged(_verified(staged(_tree_pairs(open_rows, chunk), "pairs"), docs), "links")
+    more = staged(_verified(staged(_bounded(_tree_pairs(open_rows, chunk), points), "pairs"), docs), "links")
     label = staged(components(links.union(more), "a", "b"), "labels")
     # a class goes by its least doc_id; a component by the least over its classes
     by_class = classes.join(label, classes["rep"] == label["node"], "left").select("set_id", F.coalesce("label", "rep").alias("component"))
