@@ -10,7 +10,7 @@ Terms are counted and sampled where the document lies: the exploded words keep t
 nothing but the texts (once) and the borrowed text halves are shuffled.
 
 Defined results: null text counts as empty; an empty text has the all-zero fingerprint, like only to itself; null
-doc_id sorts as the smallest; rows that repeat a doc_id each get a result, and their neighbours see the one with the
+doc_id sorts as the smallest (the least 64-bit integer counts as null); rows that repeat a doc_id each get a result, and their neighbours see the one with the
 least SHA-256; an empty table gives an empty table.
 """
 
@@ -37,11 +37,11 @@ def draw(term: Column, log_weight: Column, sample: Column) -> tuple[Column, Colu
     c = -F.ln(_uniform(one, 42) * _uniform(two, 0))
     b = _uniform(two, 21)
     t = F.floor(log_weight / r + b)
-    return F.ln(c) - r * (t - b) - r, F.xxhash64(term, t)
+    return F.ln(c) - r * (t - b) - r, F.hash(term, t)
 
 
 def signatures(texts: DataFrame, keys: list[str], text: str = "text") -> DataFrame:
-    """keys, signature (array of SAMPLES longs) of every row with a word; keys must be unique."""
+    """keys, signature (array of SAMPLES ints) of every row with a word; keys must be unique."""
     words = texts.select(*keys, F.explode(F.split(F.col(text), "[ \t\n\x0b\f\r]+")).alias("word")).filter("word <> ''")
     terms = words.select(*keys, F.xxhash64(F.translate("word", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")).alias("term"))
     weighted = terms.groupBy(*keys, "term").agg(F.ln(F.count("*").cast("double")).alias("lw"))
@@ -60,23 +60,26 @@ def likeness(a: Column, b: Column) -> Column:
 
 def printed(signature: Column) -> Column:
     """The fingerprint as text: eight hexadecimal digits a sample."""
-    return F.array_join(F.transform(signature, lambda x: F.lpad(F.lower(F.hex(x.bitwiseAND(F.lit(0xFFFFFFFF)))), 8, "0")), "")
+    return F.array_join(F.transform(signature, lambda x: F.lpad(F.lower(F.hex(x.cast("long").bitwiseAND(F.lit(0xFFFFFFFF)))), 8, "0")), "")
 
 
 def with_edits(docs: DataFrame) -> DataFrame:
-    """key, doc_id, text, sha, next_id, n_chars, edited: the last half of each text replaced by the next document's start."""
-    rows = docs.select(F.coalesce("doc_id", F.lit(NULL_KEY)).alias("key"), "doc_id", F.coalesce("text", F.lit("")).alias("text"))
+    """key, text, at, next_id, n_chars, edited: the last half of each text replaced by the next document's start.
+
+    All that needs a text takes just (key, text) dealt by key, so Spark moves the texts once and reuses that exchange.
+    """
+    rows = docs.select(F.coalesce("doc_id", F.lit(NULL_KEY)).alias("key"), F.coalesce("text", F.lit("")).alias("text"))
     half = F.floor(F.char_length("text") / 2).cast("int")
     needs = rows.groupBy("key").agg(F.max(half).alias("need"), F.count("*").alias("n"))
-    links = next_lower(needs, "key")
+    links = staged(next_lower(needs, "key"), "links")
     begun = rows.join(links.select(F.col("next_id").alias("key"), F.col("key").alias("to"), "need"), "key")
-    begun = begun.select(F.col("to").alias("key"), F.substring("text", F.lit(1), F.col("need")).alias("start"), F.sha2("text", 256).alias("by"))
+    begun = begun.select(F.col("to").alias("key"), F.substring("text", F.lit(1), F.col("need")).alias("start"), "text")
     if links.filter("n > 1").limit(1).count():
-        begun = begun.groupBy("key").agg(F.min_by("start", "by").alias("start"))
+        begun = begun.groupBy("key").agg(F.min_by("start", F.sha2("text", 256)).alias("start"))
     joined = rows.join(begun.select("key", "start"), "key").join(links.select("key", "next_id"), "key")
     n = F.char_length("text")
     edited = F.concat(F.substring("text", F.lit(1), n - half), F.substring("start", F.lit(1), half))
-    return joined.select("key", "doc_id", "text", F.xxhash64("text").alias("at"), "next_id", n.cast("long").alias("n_chars"), edited.alias("edited"))
+    return joined.select("key", "text", F.xxhash64("text").alias("at"), "next_id", n.cast("long").alias("n_chars"), edited.alias("edited"))
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
@@ -88,13 +91,13 @@ def fingerprints(docs: DataFrame) -> DataFrame:
         once = once.dropDuplicates(["key", "at", "v"])
     signed = signatures(once, ["key", "at", "v"])
     both = signed.groupBy("key", "at").agg(F.max(F.when(F.col("v") == 0, F.col("signature"))).alias("own"), F.max(F.when(F.col("v") == 1, F.col("signature"))).alias("other"))
-    zero = F.array_repeat(F.lit(0).cast("long"), SAMPLES)
-    facts = rows.select("key", "at", "doc_id", "next_id", "n_chars", F.sha2("text", 256).alias("sha"), F.sha2("edited", 256).alias("edited_sha256"))
+    zero = F.array_repeat(F.lit(0), SAMPLES)
+    facts = rows.select("key", "at", "next_id", "n_chars", F.sha2("text", 256).alias("sha"), F.sha2("edited", 256).alias("edited_sha256"))
     made = facts.join(both, ["key", "at"], "left").withColumn("own", F.coalesce("own", zero)).withColumn("other", F.coalesce("other", zero))
     made = staged(made, "signatures")
     following = made.groupBy("key").agg(F.min_by("own", "sha").alias("following")).withColumnRenamed("key", "next_id")
     out = made.join(following, "next_id")
     return out.select(
-        "doc_id", "n_chars", "edited_sha256", printed(F.col("own")).alias("fingerprint"), printed(F.col("other")).alias("edited_fingerprint"),
+        F.when(F.col("key") != NULL_KEY, F.col("key")).alias("doc_id"), "n_chars", "edited_sha256", printed(F.col("own")).alias("fingerprint"), printed(F.col("other")).alias("edited_fingerprint"),
         likeness(F.col("own"), F.col("other")).alias("near_edited"), likeness(F.col("own"), F.col("following")).alias("near_next"),
     )
