@@ -64,11 +64,10 @@ def _valid(kind: str, value: Column) -> Column:
 def identifiers(text: Column) -> dict[str, Column]:
     """Valid matches of each kind: array of struct(s, e, v)."""
     out = {}
+    needs = {"email": F.contains(text, F.lit("@")), "ip": F.rlike(text, F.lit(r"[0-9]\.[0-9]")), "card": F.rlike(text, F.lit(PATTERNS["card"])), "phone": F.contains(text, F.lit("+"))}
     for kind, pattern in PATTERNS.items():
         found = F.filter(matches(text, pattern), _check(kind))
-        needs = {"email": "@", "phone": "+", "ip": "."}.get(kind)
-        if needs:
-            found = F.when(F.contains(text, F.lit(needs)), found)
+        found = F.when(needs[kind], found)  # spares most texts the search
         out[kind] = F.coalesce(found, F.array().cast(HIT))
     return out
 
@@ -94,11 +93,16 @@ def _plain(text: Column, seen: Column) -> Column:
     return F.when(F.size(seen) > 0, blanked(text, F.array_sort(seen))).otherwise(text)
 
 
+def _low(text: Column) -> Column:
+    """Lower case, one character for one: a text's words are the same lowered before or after they are cut."""
+    return F.lower(F.translate(text, "\u0130", "I"))
+
+
 def observed(docs: DataFrame) -> DataFrame:
     """One row per distinct text: text_key, entities, words (lower case, those of identifiers left out)."""
     texts = docs.select("text").filter("text is not null").distinct().withColumn("seen", _seen(F.col("text")))
     texts = texts.withColumn("plain", _plain(F.col("text"), F.col("seen")))
-    words = F.transform(F.regexp_extract_all("plain", F.lit(TERM), F.lit(0)), F.lower)
+    words = F.regexp_extract_all(_low(F.col("plain")), F.lit(TERM), F.lit(0))
     return texts.select(F.md5("text").alias("text_key"), F.array_distinct("seen.v").alias("entities"), F.array_distinct(words).alias("words"))
 
 
@@ -116,8 +120,22 @@ def disclosing_terms(texts: DataFrame, remove_at: float = 0.8, generalise_at: fl
     return rated.filter(F.col("n_e") < total).withColumn("share", share).filter(F.col("share") >= min(remove_at, generalise_at)).select("text_key", "entity", "term", "share")
 
 
-def _term_spans(terms: Column, kind: str, order: int) -> Column:
-    return of_kind(F.filter("_words", lambda x: F.array_contains(terms, F.lower(x["v"]))), kind, order)
+def _spelt(terms: Column) -> Column:
+    """The words of ``_plain`` that are terms, as spelt there, by first letter: array of struct(letter, rest)."""
+    lower = F.filter("_forms", lambda form: form == _low(form))  # most are, and meet the terms by hash
+    other = F.filter("_forms", lambda form: (form != _low(form)) & F.array_contains(terms, _low(form)))
+    own = F.concat(F.array_intersect(lower, terms), other)
+    return F.array_sort(F.transform(own, lambda form: F.struct(F.substring(form, 1, 1).alias("letter"), F.substr(form, F.lit(2)).alias("rest"))))
+
+
+def _term_spans(own: str, kind: str, order: int) -> Column:
+    """Spans of the words ``own`` in ``_plain``, by one pattern of whole words that is told apart by first letter."""
+    step = lambda acc, x: F.struct(
+        x["letter"].alias("letter"),
+        F.concat(acc["pattern"], F.when(acc["letter"] == x["letter"], F.lit("|")).when(acc["letter"] == "", F.concat(x["letter"], F.lit("(?:"))).otherwise(F.concat(F.lit(")|"), x["letter"], F.lit("(?:"))), x["rest"]).alias("pattern"),
+    )
+    built = F.aggregate(own, F.struct(F.lit("").alias("letter"), F.lit(r"(?<![\p{L}\p{N}_])(?:").alias("pattern")), step, lambda acc: F.concat(acc["pattern"], F.lit(r"))(?![\p{L}\p{N}_])")))
+    return of_kind(F.when(F.size(own) > 0, matches(F.col("_plain"), built)).otherwise(F.array().cast(HIT)), kind, order)
 
 
 def sanitise(docs: DataFrame, remove_at: float = 0.8, generalise_at: float = 0.6, broadcast_rows: int = 100_000) -> DataFrame:
@@ -133,9 +151,11 @@ def sanitise(docs: DataFrame, remove_at: float = 0.8, generalise_at: float = 0.6
     if terms:
         known = F.broadcast(by_text) if terms <= broadcast_rows else by_text
         held = docs.withColumn("_seen", _seen(text)).filter(F.size("_seen") > 0).join(known, F.md5(text) == known["text_key"], "left")  # texts without identifiers are not moved
-        held = held.withColumn("_plain", _plain(text, F.col("_seen"))).withColumn("_words", F.when(F.col("text_key").isNotNull(), matches(F.col("_plain"), TERM)).otherwise(F.array().cast(HIT)))
+        held = held.withColumn("_plain", F.when(F.col("text_key").isNotNull(), _plain(text, F.col("_seen"))))
+        held = held.withColumn("_forms", F.array_distinct(F.regexp_extract_all("_plain", F.lit(TERM), F.lit(0))))
         none = F.array().cast("array<string>")
-        held = _cleaned(held, docs.columns, [*spans, _term_spans(F.coalesce("_remove", none), "term", 4), _term_spans(F.coalesce("_generalise", none), "class", 5)])
+        held = held.withColumn("_own4", _spelt(F.coalesce("_remove", none))).withColumn("_own5", _spelt(F.coalesce("_generalise", none)))
+        held = _cleaned(held, docs.columns, [*spans, _term_spans("_own4", "term", 4), _term_spans("_own5", "class", 5)])
         rest = docs.filter(text.isNull() | (F.size(_seen(text)) == 0))
         return held.union(rest.select(*docs.columns, F.array().cast(SPAN).alias("spans"), text.alias("clean_text")))
     return _cleaned(docs, docs.columns, spans)

@@ -12,6 +12,7 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 FENCE, STANDIN = "\x01", "\x02"
+HELD = 128  # matches gathered in one array, so that appending copies few of them
 
 
 def fenced(text: Column, pattern: str | Column) -> Column:
@@ -24,16 +25,20 @@ def matches(text: Column, pattern: str | Column) -> Column:
     """Array of struct(s, e, v): start and end (exclusive, code points) and text of each leftmost non-overlapping match."""
     parts = fenced(text, pattern)  # evaluated again by the walk, but only for texts that have a match
     empty = F.array().cast("array<struct<s:int,e:int,v:string>>")
-    walked = F.aggregate(
-        parts,
-        F.struct(F.lit(0).alias("at"), F.lit(0).alias("i"), empty.alias("found")),
-        lambda acc, part: F.struct(
-            (acc["at"] + F.char_length(part)).alias("at"),
+
+    def step(acc: Column, part: Column) -> Column:
+        end = acc["at"] + F.char_length(part)
+        hit, full = F.array(F.struct(acc["at"].alias("s"), end.alias("e"), part.alias("v"))), F.size(acc["found"]) >= HELD
+        odd = acc["i"] % 2 == 1
+        return F.struct(
+            end.alias("at"),
             (acc["i"] + 1).alias("i"),
-            F.when(acc["i"] % 2 == 1, F.concat(acc["found"], F.array(F.struct(acc["at"].alias("s"), (acc["at"] + F.char_length(part)).alias("e"), part.alias("v"))))).otherwise(acc["found"]).alias("found"),
-        ),
-        lambda acc: acc["found"],
-    )
+            F.when(odd & full, hit).when(odd, F.concat(acc["found"], hit)).otherwise(acc["found"]).alias("found"),
+            F.when(odd & full, F.concat(acc["done"], F.array(acc["found"]))).otherwise(acc["done"]).alias("done"),
+        )
+
+    start = F.struct(F.lit(0).alias("at"), F.lit(0).alias("i"), empty.alias("found"), F.array().cast("array<array<struct<s:int,e:int,v:string>>>").alias("done"))
+    walked = F.aggregate(parts, start, step, lambda acc: F.flatten(F.concat(acc["done"], F.array(acc["found"]))))
     return F.when(F.size(parts) > 1, walked).otherwise(empty)
 
 
