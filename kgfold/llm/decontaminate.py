@@ -8,7 +8,8 @@ touched.  A document as a whole is the first query (a bound for its passages); i
 least twice as long as the longest item, follow only if some item can pass.
 
 Hits are verified in the window: the question part (the item but for its last quarter) and the answer part (that
-quarter, five words at least) must each have ``overlap`` of their five-word shingles there.
+quarter, five words at least) must each have ``overlap`` of their shingles there.  Shingles have five words; in parts of
+under 14 words fewer, so that one changed word anywhere leaves at least half of a part's shingles.
 
 Items are indexed in shards of at most ``shard_items`` items; only one shard at a time is collected and broadcast.
 Defined results: null or empty text and null or empty items give no hits; repeated rows give repeated hits; ties don't
@@ -43,6 +44,11 @@ def shingles(words: list[str], size: int = SHINGLE) -> set[tuple[str, ...]]:
     return {tuple(words[i : i + size]) for i in range(max(1, len(words) - size + 1))}
 
 
+def part_size(n_words: int) -> int:
+    """Words a shingle of a part has: the most, up to SHINGLE, for which one changed word spares half the shingles."""
+    return max(1, min(SHINGLE, (n_words + 1) // 3))
+
+
 class ItemIndex:
     """BM25 index of test items with block maxima; items are sorted by length so that blocks hold like items."""
 
@@ -82,7 +88,8 @@ class ItemIndex:
         self.parts = {}
         for at, w in enumerate(self.words):
             tail = min(len(w), max(SHINGLE, len(w) // 4))
-            self.parts[at] = (shingles(w[: len(w) - tail] if len(w) - tail >= SHINGLE else w), shingles(w[len(w) - tail :]))
+            halves = (w[: len(w) - tail] if len(w) - tail >= SHINGLE else w, w[len(w) - tail :])
+            self.parts[at] = tuple((part_size(len(h)), shingles(h, part_size(len(h)))) for h in halves)
 
     def search(self, terms: list[int], threshold: float) -> list[tuple[int, float]]:
         """(item, score) of every item that the distinct query terms score at ``threshold`` or more."""
@@ -119,10 +126,12 @@ class ItemIndex:
             found = self.search([known[w] for w in known.keys() & set(part)], threshold)
             if not found:
                 continue
-            there = shingles(part)
+            there: dict[int, set[tuple[str, ...]]] = {}
             for at, score in found:
-                q, r = self.parts[at]
-                q_share, r_share = len(q & there) / len(q), len(r & there) / len(r)
+                for k, _ in self.parts[at]:
+                    if k not in there:
+                        there[k] = shingles(part, k)
+                q_share, r_share = (len(own & there[k]) / len(own) for k, own in self.parts[at])
                 if q_share >= overlap and r_share >= overlap and score > best.get(at, (0.0,))[0]:
                     best[at] = (score, q_share, r_share)
         return [(self.ids[at], *v) for at, v in sorted(best.items())]

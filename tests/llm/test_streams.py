@@ -12,7 +12,7 @@ from tokenizers import Tokenizer
 import corpus_pipeline
 from kgfold.llm import toxicity
 from kgfold.llm.common import staged, table
-from kgfold.llm.decontaminate import ItemIndex, find_leaks
+from kgfold.llm.decontaminate import ItemIndex, find_leaks, words_of
 from kgfold.llm.html_paths import extract, main_text
 from kgfold.llm.id_store import read_checks, read_documents, shifted_crc, write_store
 from kgfold.llm.packing import pack
@@ -69,6 +69,17 @@ def test_leaks(spark, sf_dir, dense):
     assert want and got == want
 
 
+def test_leaks_with_one_changed_word(spark, sf_dir):
+    items = [(r["item_id"], r["text"]) for r in table(spark, sf_dir, "benchmark").collect()]
+    index = ItemIndex(items)
+    frame = "some plain words that stand before and after the passage".split()
+    for item_id, text in items:
+        words = words_of(text)
+        for at in range(len(words)):
+            edited = [*frame, *words[:at], "zzyzx", *words[at + 1 :], *frame]
+            assert item_id in {h[0] for h in index.hits(" ".join(edited), 0.45, 0.5)}, (item_id, at)
+
+
 def test_leaks_in_shards_and_empty_tables(spark, sf_dir):
     docs, items = table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")
     a, b = (sorted((r["doc_id"], r["item_id"]) for r in find_leaks(docs, items, shard_items=n).collect()) for n in (7, 20_000))
