@@ -65,6 +65,7 @@ _STATUS = {
     "merged_share": "bucket IN ('seed', 'to_seed', 'to_other')", "integrated_share": "bucket IN ('seed', 'to_seed') OR attached",
 }
 STATUS = " UNION ALL ".join(f"SELECT '{k}' AS status, count(*) FILTER (WHERE {c}) AS n, round(count(*) FILTER (WHERE {c})::DOUBLE / count(*), 4) AS ratio FROM bucket" for k, c in _STATUS.items())
+CONNECTIVITY = ("connected_base", "connected_attached", "disconnected", "integrated_share")
 
 
 def _methods() -> None:
@@ -152,6 +153,7 @@ def _experiments() -> None:
     for k in ("k1", "k2", "k3"):
         add(f"w2_comparison_{k}", _on(k, lambda kg, c: metrics.comparison_table(kg, integrate(kg, c))), oracle.sql(k, COMPARISON, extra=SUBGRAPHS))
         add(f"w3_status_{k}", _on(k, lambda kg, c: metrics.status_table(kg, integrate(kg, c), c)), oracle.sql(k, STATUS))
+        add(f"w4_connectivity_{k}", _on(k, lambda kg, c: metrics.status_table(kg, integrate(kg, c), c).filter(F.col("status").isin(*CONNECTIVITY))), oracle.sql(k, f"SELECT * FROM ({STATUS}) WHERE status IN {CONNECTIVITY}"))
         add(f"w7_subgraphs_{k}", _on(k, lambda kg, c: metrics.subgraphs(kg.hier).select(F.col("n").alias("n_in")).crossJoin(metrics.subgraphs(_tree(kg, c)).select(F.col("n").alias("n_out")))), oracle.sql(k, "SELECT (SELECT count(DISTINCT label) FROM i_label) AS n_in, (SELECT count(DISTINCT label) FROM o_label) AS n_out", extra=SUBGRAPHS))
     add("w2_comparison_k4", _on("k4", lambda kg, c: metrics.comparison_table(kg, integrate(kg, c))))
     add("w5_stage_times_k4", _on("k4", stage_times))
@@ -202,9 +204,33 @@ def _drawing_example(spark: SparkSession, sf_dir: str) -> DataFrame:
     return integrate(kg, IntegrationConfig(seed="A")).domain_hierarchy
 
 
+PART = ("p_name", "p_type", "p_brand")
+DOCUMENTS = ("doc_id", "text", "lang", "source", "n_chars")
+GRAPH = {"concept": ("concept", "source", "is_obsolete"), "mapping": ("src", "relation", "dst"), "hier": ("child", "parent")}
+
+
+def _profile_sql(table: str, cols: tuple[str, ...]) -> str:
+    return " UNION ALL ".join(
+        f"SELECT '{c}' AS \"column\", count(*) AS n, count(*) - count({c}) AS n_null, count(DISTINCT {c}) AS n_distinct, min({c}::VARCHAR) AS least, max({c}::VARCHAR) AS greatest, max(length({c}::VARCHAR)) AS longest, count(DISTINCT {c}) = 1 AS is_constant, count(DISTINCT {c}) = count(*) AS is_unique FROM {table}"
+        for c in cols
+    )
+
+
+def _table_profiles(kg: KnowledgeGraph, cfg: IntegrationConfig) -> DataFrame:
+    parts = [profile.profile_table(getattr(kg, t).select(*cols)).select(F.lit(t).alias("table"), "*") for t, cols in GRAPH.items()]
+    return reduce(DataFrame.union, parts)
+
+
+def _table_profiles_sql() -> str:
+    missing = {t: " + ".join(f"(count(*) - count({c}))" for c in cols) for t, cols in GRAPH.items()}
+    return " UNION ALL ".join(f"SELECT '{t}' AS \"table\", count(*) AS n_rows, count(*) - (SELECT count(*) FROM (SELECT DISTINCT {', '.join(cols)} FROM {t})) AS duplicate_rows, {missing[t]} AS missing_cells FROM {t}" for t, cols in GRAPH.items())
+
+
 def _analytics() -> None:
     add("r2_table_profile_part", lambda s, d: profile.profile_table(s.read.parquet(f"{d}/part.parquet")), "SELECT count(*) AS n_rows, count(*) - (SELECT count(*) FROM (SELECT DISTINCT * FROM part)) AS duplicate_rows, 0 AS missing_cells FROM part")
-    add("r1_profile_part", lambda s, d: profile.profile(s.read.parquet(f"{d}/part.parquet").select("p_name", "p_type", "p_brand"), exact=True), " UNION ALL ".join(f"SELECT '{c}' AS \"column\", count(*) AS n, count(*) - count({c}) AS n_null, count(DISTINCT {c}) AS n_distinct, min({c}) AS least, max({c}) AS greatest, max(length({c})) AS longest, count(DISTINCT {c}) = 1 AS is_constant, count(DISTINCT {c}) = count(*) AS is_unique FROM part" for c in ("p_name", "p_type", "p_brand")))
+    add("r2_table_profile_k1", _on("k1", _table_profiles), oracle.sql("k1", _table_profiles_sql()))
+    add("r1_profile_part", lambda s, d: profile.profile(s.read.parquet(f"{d}/part.parquet").select(*PART), exact=True), _profile_sql("part", PART))
+    add("r1_profile_documents", lambda s, d: profile.profile(s.read.parquet(f"{d}/documents.parquet").select(*DOCUMENTS), exact=True), _profile_sql("documents", DOCUMENTS))
     add("r3_link_matrix_k2", _on("k2", lambda kg, c: profile.link_matrix(kg.mapping, c)), oracle.sql("k2", "SELECT ss AS source, ds AS target, count(*) FILTER (WHERE cls = 0) AS equivalence, count(*) FILTER (WHERE cls = 1) AS reference FROM ml GROUP BY ss, ds"))
     mult = "SELECT relation, kind, count(*) AS n FROM (SELECT relation, CASE WHEN o = 1 AND i = 1 THEN '1:1' WHEN o = 1 THEN 'n:1' WHEN i = 1 THEN '1:n' ELSE 'n:m' END AS kind FROM (SELECT relation, count(*) OVER (PARTITION BY src, relation) AS o, count(*) OVER (PARTITION BY dst, relation) AS i FROM mapping)) GROUP BY relation, kind"
     add("r4_multiplicity_k1", _on("k1", lambda kg, c: profile.multiplicity_report(kg.mapping)), oracle.sql("k1", mult))
