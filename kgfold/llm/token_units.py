@@ -35,9 +35,9 @@ class UnitEncoder:
         steps = pre.get("pretokenizers", [pre])
         self.units = None
         if pre.get("type") == "ByteLevel" and pre.get("use_regex", True) and not pre.get("add_prefix_space"):
-            self.units = re.compile(rf" ?[^{WHITE}]+|[{WHITE}]+(?![^{WHITE}])|[{WHITE}]+")
+            self.units = re.compile(rf" ?[^{WHITE}]+|[{WHITE}]+(?![^{WHITE}])|[{WHITE}]+").findall
         elif steps[0].get("type") == "Split" and steps[0].get("behavior") == "Removed" and steps[0].get("invert") and r"[^\s\p{L}\p{N}]+" in (steps[0].get("pattern") or {}).get("Regex", ""):
-            self.units = re.compile(r"[^ \n]+")
+            self.units = lambda text: text.replace("\n", " ").split(" ")  # the empty unit has no ids
 
     def _whole(self, texts: list[str]) -> list[bytes]:
         return [np.asarray(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
@@ -46,16 +46,23 @@ class UnitEncoder:
         """Ids of each text as little-endian unsigned 32-bit integers."""
         if self.units is None:
             return self._whole(texts)
-        find, cache = self.units.findall, self.cache
+        cut, cache = self.units, self.cache
         if len(cache) > self.max_units:
             cache.clear()
-        plain = [None if "<|" in t else find(t) for t in texts]
-        missing = list(set().union(*(u for u in plain if u is not None)).difference(cache))
-        for i in range(0, len(missing), 50_000):
-            part = missing[i : i + 50_000]
+        plain = [None if "<|" in t else cut(t) for t in texts]
+        found = [None if u is None else list(map(cache.get, u)) for u in plain]
+        missing: set[str] = set()
+        for u, f in zip(plain, found, strict=True):
+            if f is not None and None in f:
+                missing.update(x for x, ids in zip(u, f, strict=True) if ids is None)
+        todo = list(missing)
+        for i in range(0, len(todo), 50_000):
+            part = todo[i : i + 50_000]
             cache.update(zip(part, self._whole(part), strict=True))
-        get = cache.__getitem__
-        return [self._whole([t])[0] if u is None else b"".join(map(get, u)) for t, u in zip(texts, plain, strict=True)]
+        get, out = cache.__getitem__, []
+        for t, u, f in zip(texts, plain, found, strict=True):
+            out.append(self._whole([t])[0] if u is None else b"".join(map(get, u) if None in f else f))
+        return out
 
 
 def encoder(path: str) -> UnitEncoder:
