@@ -11,6 +11,7 @@ from __future__ import annotations
 import json
 import os
 import re
+from itertools import islice
 
 import numpy as np
 
@@ -23,9 +24,10 @@ _OPEN: dict[str, UnitEncoder] = {}
 
 
 class UnitEncoder:
-    """``max_units`` bounds the cache (about 250 bytes a unit); a full cache starts anew, results don't change."""
+    """``max_units`` bounds the cache (about 350 bytes a unit); a full cache keeps the half it met first, which holds
+    the frequent units, so results don't change and rare units make way."""
 
-    def __init__(self, path: str, max_units: int = 2_000_000):
+    def __init__(self, path: str, max_units: int = 600_000):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
@@ -48,7 +50,7 @@ class UnitEncoder:
             return self._whole(texts)
         cut, cache = self.units, self.cache
         if len(cache) > self.max_units:
-            cache.clear()
+            self.cache = cache = dict(islice(cache.items(), self.max_units // 2))
         plain = [None if "<|" in t else cut(t) for t in texts]
         found = [None if u is None else list(map(cache.get, u)) for u in plain]
         missing: set[str] = set()

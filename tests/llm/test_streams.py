@@ -99,6 +99,17 @@ def test_units_give_the_same_ids(spark, sf_dir, name):
         assert np.frombuffer(ids, "<u4").tolist() == plain.encode(text, add_special_tokens=False).ids
 
 
+def test_full_cache_keeps_its_older_half_and_the_ids(spark, sf_dir):
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    texts = [r["text"] or "" for r in table(spark, sf_dir, "documents", "text").limit(60).collect()]
+    roomy, tight = UnitEncoder(path), UnitEncoder(path, max_units=200)
+    for a in range(0, len(texts), 5):
+        first = list(tight.cache)[:100]
+        assert tight.encode(texts[a : a + 5]) == roomy.encode(texts[a : a + 5])
+        assert list(tight.cache)[:100][: len(first)] == first
+    assert len(tight.cache) < len(roomy.cache)
+
+
 def test_shifted_crc():
     a, b = b"some ids", b"and some more ids, at length"
     parts = shifted_crc(np.array([zlib.crc32(a), zlib.crc32(b)], np.uint32), np.array([len(b), 0]))
