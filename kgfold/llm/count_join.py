@@ -12,7 +12,7 @@ minima of two points' coordinates bounds the overlap of their sets.
 3. Every block first tests its members against its least member: sizes, then the count bound, then the sets.
 4. Blocks that still hold more than one component are searched with an R-tree over the points: node pairs whose summed
    minima of upper corners can't reach the needed overlap are cut, pairs already connected are skipped, the rest is
-   bounded again with FINE groups and then verified on the sets.  Blocks over ``chunk`` members are split into chunks,
+   bounded again with FINE groups before it leaves the task, and then verified on the sets.  Blocks over ``chunk`` members are split into chunks,
    and every pair of chunks is one task.
 5. Links are joined to components by star contraction.
 
@@ -27,6 +27,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -217,7 +218,7 @@ def _low_counts(first: bytes) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _prefixes(sheets: DataFrame, said: DataFrame) -> DataFrame:
-    """doc_id, n, point, fine, first: for each set that other sets could reach, its first floor(n/5)+1 tokens in the global
+    """doc_id, n, fine, first: for each set that other sets could reach, its first floor(n/5)+1 tokens in the global
     order, without those of no other set."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -239,10 +240,10 @@ def _prefixes(sheets: DataFrame, said: DataFrame) -> DataFrame:
                 lists = pa.ListArray.from_arrays(pa.array(np.r_[at, len(found)].astype(np.int32)), pa.array(found))
                 ids = np.frombuffer(reps, "<i8")[open_sets]
                 fine = [points[k * FINE : (k + 1) * FINE] for k in open_sets.tolist()]
-                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(n[open_sets]), pa.array(coarse(fine), pa.binary()), pa.array(fine, pa.binary()), lists], ["doc_id", "n", "point", "fine", "first"])
+                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(n[open_sets]), pa.array(fine, pa.binary()), lists], ["doc_id", "n", "fine", "first"])
 
     rows = sheets.join(said, "sheet", "left").select("sheet", "reps", "sizes", "points", "counts", "first", "said")
-    return rows.mapInArrow(run, "doc_id long, n long, point binary, fine binary, first array<long>")
+    return rows.mapInArrow(run, "doc_id long, n long, fine binary, first array<long>")
 
 
 def _bounded(pairs: DataFrame, points: DataFrame) -> DataFrame:
@@ -283,15 +284,32 @@ def _verified(pairs: DataFrame, docs: DataFrame, broadcast_rows: int = 1_000_000
     return rows.select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
 
 
-def _pairs_of(points: list[bytes], sizes: np.ndarray, labels: np.ndarray, left: np.ndarray, right: np.ndarray | None = None) -> list[tuple[int, int]]:
-    """Index pairs that the tree leaves, within ``left`` or between ``left`` and ``right``."""
+def _pairs_of(points: list[bytes], fine: np.ndarray, sizes: np.ndarray, labels: np.ndarray, left: np.ndarray, right: np.ndarray | None = None) -> list[tuple[int, int]]:
+    """Index pairs that the tree and then the count bound by FINE groups leave, within ``left`` or between ``left`` and ``right``."""
 
     def tree(rows: np.ndarray) -> CountTree:
         return CountTree(tree_counts([points[k] for k in rows]), sizes[rows], labels[rows])
 
     if right is None:
-        return [(left[x], left[y]) for x, y in tree(left).pairs()] if len(left) > 1 else []
-    return [(left[x], right[y]) for x, y in tree(left).pairs(tree(right))] if len(left) and len(right) else []
+        found = tree(left).pairs() if len(left) > 1 else iter(())
+        right = left
+    else:
+        found = tree(left).pairs(tree(right)) if len(left) and len(right) else iter(())
+    out: list[tuple[int, int]] = []
+    while part := list(islice(found, 4096)):
+        at = np.array(part, np.int64)
+        a, b = left[at[:, 0]], right[at[:, 1]]
+        both = np.minimum(fine[a], fine[b])
+        ok = 9 * both.sum(axis=1, dtype=np.int64) >= 4 * (sizes[a] + sizes[b])
+        ok |= (both == 255).any(axis=1)  # cut at 8 bits: no bound
+        out += zip(a[ok].tolist(), b[ok].tolist(), strict=True)
+    return out
+
+
+def _fine(rows: pa.Table) -> tuple[list[bytes], np.ndarray]:
+    """(coarse points, counts by FINE groups) of rows."""
+    fine = rows.column("fine").to_pylist()
+    return coarse(fine), np.frombuffer(b"".join(fine), np.uint8).reshape(-1, FINE)
 
 
 def _pair_table(ids: np.ndarray, found: list[tuple[int, int]]) -> list[pa.Array]:
@@ -305,12 +323,12 @@ def _block_stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 
     def search(rows: pa.Table) -> pa.RecordBatch:
         keys, ids = rows.column("key").to_numpy(), rows.column("doc_id").to_numpy()
-        sizes, labels, points = rows.column("n").to_numpy(), rows.column("label").to_numpy(), rows.column("point").to_pylist()
+        sizes, labels, (points, fine) = rows.column("n").to_numpy(), rows.column("label").to_numpy(), _fine(rows)
         cuts = np.flatnonzero(np.r_[True, keys[1:] != keys[:-1], True])
         found: list[tuple[int, int]] = []
         for x, y in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
             if y - x > 1 and (labels[x:y] != labels[x]).any():
-                found += _pairs_of(points, sizes, labels, np.arange(x, y))
+                found += _pairs_of(points, fine, sizes, labels, np.arange(x, y))
         return pa.RecordBatch.from_arrays(_pair_table(ids, found), ["a", "b"])
 
     for batch in batches:
@@ -328,9 +346,9 @@ def _block_stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 
 
 def _tree_pairs(rows: DataFrame, chunk: int) -> DataFrame:
-    """Candidate pairs (a, b) of blocks (key, doc_id, n, label, point, size): blocks up to ``chunk`` members side by
+    """Candidate pairs (a, b) of blocks (key, doc_id, n, label, fine, size): blocks up to ``chunk`` members side by
     side in sorted partitions, larger ones by pairs of chunks."""
-    small = rows.filter(F.col("size") <= chunk).select("key", "doc_id", "n", "label", "point")
+    small = rows.filter(F.col("size") <= chunk).select("key", "doc_id", "n", "label", "fine")
     found = small.repartition("key").sortWithinPartitions("key").mapInArrow(_block_stream, "a long, b long")
     large = rows.filter(F.col("size") > chunk)
     parts = F.ceil(F.col("size") / chunk).cast("int")
@@ -342,10 +360,10 @@ def _tree_pairs(rows: DataFrame, chunk: int) -> DataFrame:
         i, j = key[1].as_py(), key[2].as_py()
         ids, part = held.column("doc_id").to_numpy(), held.column("part").to_numpy()
         left, right = np.flatnonzero(part == i), np.flatnonzero(part == j)
-        found = _pairs_of(held.column("point").to_pylist(), held.column("n").to_numpy(), held.column("label").to_numpy(), left, None if i == j else right)
+        found = _pairs_of(*_fine(held), held.column("n").to_numpy(), held.column("label").to_numpy(), left, None if i == j else right)
         return pa.table(_pair_table(ids, found), ["a", "b"])
 
-    grouped = dealt.select("key", F.col("task.i").alias("i"), F.col("task.j").alias("j"), "part", "doc_id", "n", "label", "point")
+    grouped = dealt.select("key", F.col("task.i").alias("i"), F.col("task.j").alias("j"), "part", "doc_id", "n", "label", "fine")
     return found.union(grouped.groupBy("key", "i", "j").applyInArrow(run, "a long, b long")).distinct()
 
 
@@ -359,7 +377,7 @@ def linked(docs: DataFrame, chunk: int = 2000) -> DataFrame:
     once = known.agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("point").alias("point"), F.first("first").alias("first"))
     sheets = staged(once.select("rep", "n", "point", "first").mapInArrow(_sheets, "sheet long, reps binary, sizes binary, points binary, counts binary, first binary"), "sheets")
     sets = staged(_prefixes(sheets, _frequencies(sheets)), "open")
-    points = sets.select("doc_id", "n", "point", "fine").dropDuplicates(["doc_id"])
+    points = sets.select("doc_id", "n", "fine").dropDuplicates(["doc_id"])
     keys = sets.select("doc_id", "n", F.explode("first").alias("key"))
     marks = [F.bit_xor(F.xxhash64(F.lit(k), "doc_id")).alias(f"mark{k}") for k in range(2)]
     shared = keys.groupBy("key").agg(F.count("*").alias("size"), F.min("doc_id").alias("pivot"), *marks).filter("size > 1")
@@ -372,8 +390,8 @@ def linked(docs: DataFrame, chunk: int = 2000) -> DataFrame:
     rest = blocks.filter("size > 2 and doc_id <> pivot").select("key", "doc_id", "n", "size")
     known = rest.join(label.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("key", "doc_id", "n", "size", F.coalesce("label", "doc_id").alias("label"))
     mixed = known.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("key")
-    open_rows = staged(known.join(mixed, "key").join(points.select("doc_id", "point"), "doc_id"), "open")
-    more = staged(_verified(staged(_bounded(_tree_pairs(open_rows, chunk), points), "pairs"), docs), "links")
+    open_rows = staged(known.join(mixed, "key").join(points.select("doc_id", "fine"), "doc_id"), "open")
+    more = staged(_verified(staged(_tree_pairs(open_rows, chunk), "pairs"), docs), "links")
     label = staged(components(links.union(more), "a", "b"), "labels")
     # a class goes by its least doc_id; a component by the least over its classes
     by_class = classes.join(label, classes["rep"] == label["node"], "left").select("set_id", F.coalesce("label", "rep").alias("component"))

@@ -122,3 +122,16 @@ def test_fingerprints(spark):
     assert abs(np.mean(errors)) < 0.03 and np.std(errors) < 0.12
     assert got[1002]["fingerprint"] == got[1005]["fingerprint"] != got[0]["fingerprint"]
     assert fingerprints(frame(spark, [])).collect() == []
+
+
+def test_blocks_of_unlike_sets_send_no_pairs():
+    import numpy as np
+    import pyarrow as pa
+    from kgfold.llm import count_join
+
+    rng = np.random.default_rng(5)
+    sets = [np.unique(rng.integers(0, 1 << 63, 3000, np.uint64)) for _ in range(40)]
+    sets.append(np.unique(np.r_[sets[0][:2900], sets[1][:50]]))  # a near copy of the first
+    rows = [pa.array([1] * len(sets)), pa.array(range(len(sets))), pa.array([len(s) for s in sets]), pa.array(range(len(sets))), pa.array([count_join.point_of(s) for s in sets], pa.binary())]
+    found = list(count_join._block_stream(iter([pa.RecordBatch.from_arrays(rows, ["key", "doc_id", "n", "label", "fine"])])))
+    assert [(p["a"], p["b"]) for b in found for p in b.to_pylist()] == [(0, 40)]
