@@ -3,7 +3,7 @@
 import random
 
 import pytest
-from kgfold import kernels
+from kgfold import kernels, ops
 from kgfold.operators import blocks, canonical, identity
 from kgfold.plans.fixtures import config, load
 
@@ -54,3 +54,9 @@ def test_components_with_leaves(spark, monkeypatch, bound):
     want = rows(kernels.components(spark.createDataFrame(edges, "src long, dst long")))
     monkeypatch.setattr(kernels, "ONE_TASK_EDGES", bound)
     assert rows(kernels.components(spark.createDataFrame(edges, "src long, dst long"))) == want
+
+
+def test_chain_example_reads_the_parts(spark, sf_dir):
+    keys = [r[0] for r in spark.read.parquet(f"{sf_dir}/part.parquet").select("p_partkey").collect()]
+    got = ops.queries()["w11_chain_example"](spark, sf_dir)
+    assert rows(got.select("src", "dst")) == sorted((f"{s}:{k}", f"S3:{k}") for s in ("S1", "S2") for k in keys)
