@@ -99,6 +99,23 @@ def test_units_give_the_same_ids(spark, sf_dir, name):
         assert np.frombuffer(ids, "<u4").tolist() == plain.encode(text, add_special_tokens=False).ids
 
 
+@pytest.mark.parametrize("name", ["word_bpe_49k.json", "byte_bpe_50k.json"])
+def test_only_new_pieces_reach_the_tokenizer(name):
+    path = public_tokenizers.path(name)
+    plain, fast, asked = Tokenizer.from_file(path), UnitEncoder(path), []
+    whole = fast._whole
+    fast._whole = lambda texts: asked.extend(texts) or whole(texts)
+    fast.encode(["alpha beta"])
+    asked.clear()
+    fast.encode(["alpha, beta!9"])
+    assert asked and not any("alpha" in a or "beta" in a for a in asked)
+    rng = np.random.default_rng(1)
+    letters = list("aBz'sStTreveLLmMd09 \n\t\r\x0b\x0c\x1c\x1f\x00.,!-_\"é\u0301 Σ²İ")
+    texts = ["".join(rng.choice(letters, rng.integers(0, 60))) for _ in range(3000)]
+    for text, ids in zip(texts, fast.encode(texts), strict=True):
+        assert np.frombuffer(ids, "<u4").tolist() == plain.encode(text, add_special_tokens=False).ids
+
+
 def test_full_cache_keeps_its_older_half_and_the_ids(spark, sf_dir):
     path = public_tokenizers.path("byte_bpe_50k.json")
     texts = [r["text"] or "" for r in table(spark, sf_dir, "documents", "text").limit(60).collect()]
